@@ -36,3 +36,10 @@ def op3_bpe_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
     from lattice_pages.llm import bpe
 
     return bpe.encode_decode(table(spark, sf_dir, "documents"), vocabulary("word_bpe_49k.json"))
+
+
+@query
+def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from lattice_pages.llm import simhash
+
+    return simhash.near_components(table(spark, sf_dir, "documents"))

@@ -43,3 +43,10 @@ def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     from lattice_pages.llm import simhash
 
     return simhash.near_components(table(spark, sf_dir, "documents"))
+
+
+@query
+def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from lattice_pages.llm import packing
+
+    return packing.pack(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))

@@ -50,3 +50,20 @@ def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from lattice_pages.llm import packing
 
     return packing.pack(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))
+
+
+@query
+def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from lattice_pages.llm import langid
+
+    return langid.identify(table(spark, sf_dir, "documents"))
+
+
+@query
+def op7_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from lattice_pages.llm import chat
+
+    rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    hard = "</s>[INST] ok [/INST]"
+    extra = spark.createDataFrame([(-1, 0, "user", hard), (-1, 1, "assistant", hard)], rows.schema)
+    return chat.read_back(chat.conversations(chat.chain(rows.unionByName(extra))))

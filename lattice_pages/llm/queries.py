@@ -67,3 +67,10 @@ def op7_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     hard = "</s>[INST] ok [/INST]"
     extra = spark.createDataFrame([(-1, 0, "user", hard), (-1, 1, "assistant", hard)], rows.schema)
     return chat.read_back(chat.conversations(chat.chain(rows.unionByName(extra))))
+
+
+@query
+def op9_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from lattice_pages.llm import fingerprint
+
+    return fingerprint.fingerprints(table(spark, sf_dir, "documents"))

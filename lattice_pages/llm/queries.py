@@ -74,3 +74,26 @@ def op9_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     from lattice_pages.llm import fingerprint
 
     return fingerprint.fingerprints(table(spark, sf_dir, "documents"))
+
+
+@query
+def op8_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from lattice_pages.llm import urlfilter
+
+    return urlfilter.judge(table(spark, sf_dir, "pages"))
+
+
+@query
+def op1_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from lattice_pages.llm import warc
+
+    return warc.archive_roundtrip(table(spark, sf_dir, "pages"))
+
+
+def _oracles() -> None:
+    from lattice_pages.llm import urlfilter
+
+    ORACLE_SQL["op8_url_filter"] = urlfilter.ORACLE
+
+
+_oracles()

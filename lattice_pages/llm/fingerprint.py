@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from lattice_pages.session import materialize
 
-SAMPLES = 24
+SAMPLES = 32
 _MASK = (1 << 24) - 1
 
 
@@ -72,20 +72,18 @@ def neighbours(ids: DataFrame) -> DataFrame:
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", samples: int = SAMPLES) -> DataFrame:
     """The columns of the query: see the module's text."""
-    spark = docs.sparkSession
     text = F.coalesce(F.col(text_col), F.lit(""))
     least = F.lit(-(1 << 63)).cast("long")
     texts = docs.select(F.coalesce(F.col(id_col).cast("long"), least).alias("k"), F.xxhash64(text).alias("h"), text.alias("text"))
     order = neighbours(texts.select("k", "h", F.length("text").alias("n")))
 
-    n_parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    dealt = texts.repartition(n_parts, "k", "h")
+    # repeated rows meet here; every later key contains (k, h), so this is the only exchange of whole texts
+    dealt = texts.groupBy("k", "h").agg(F.first("text").alias("text"))
     half = F.floor(F.col("pn") / 2).cast("int")
-    sent = dealt.join(order, ["k", "h"]).select(F.col("pk").alias("k"), F.col("ph").alias("h"), F.substring("text", F.lit(1), half).alias("head"), (F.col("copies") > 1).alias("again"))
-    heads = sent.filter("not again").drop("again").unionByName(sent.filter("again").drop("again").dropDuplicates(["k", "h"]))
+    heads = dealt.join(order, ["k", "h"]).select(F.col("pk").alias("k"), F.col("ph").alias("h"), F.substring("text", F.lit(1), half).alias("head"))
     n = F.length("text")
     both = dealt.join(heads, ["k", "h"]).select("k", "h", "text", F.concat(F.substring("text", F.lit(1), n - F.floor(n / 2).cast("int")), "head").alias("edited"))
-    digests = both.select("k", "h", F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256")).distinct()
+    digests = both.select("k", "h", F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"))
 
     words = lambda c: F.split(F.lower(c), r"[\s\p{Punct}]+")
     sides = F.array(F.struct(F.lit(0).alias("side"), words("text").alias("w")), F.struct(F.lit(1).alias("side"), words("edited").alias("w")))
@@ -99,11 +97,12 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     def names(s: int) -> Column:
         return F.array(*[F.coalesce(F.greatest(F.col(f"m{s}_{i}").bitwiseAND(F.lit(_MASK)).cast("int"), F.lit(1)), F.lit(0)) for i in range(samples)])
 
-    drawn = materialize(drawn.select("k", "h", names(0).alias("a"), names(1).alias("e")), "samples")
+    drawn = digests.join(drawn.select("k", "h", names(0).alias("a"), names(1).alias("e")), ["k", "h"], "left")
+    drawn = materialize(drawn, "samples")
     none = F.array_repeat(F.lit(0), samples)
-    own = order.join(drawn, ["k", "h"], "left").select(*order.columns, F.coalesce("a", none).alias("a"), F.coalesce("e", none).alias("e"))
+    own = order.join(drawn, ["k", "h"], "left").select(*order.columns, "edited_sha256", F.coalesce("a", none).alias("a"), F.coalesce("e", none).alias("e"))
     after = own.select(F.col("k").alias("nk"), F.col("h").alias("nh"), F.col("a").alias("x"))
-    full = own.join(after, ["nk", "nh"]).join(digests, ["k", "h"])
+    full = own.join(after, ["nk", "nh"])
 
     def likeness(x: str, y: str) -> Column:
         return sum((F.when(F.col(x)[i] == F.col(y)[i], 1).otherwise(0) for i in range(samples)), F.lit(0)) / F.lit(float(samples))

@@ -97,3 +97,12 @@ def _oracles() -> None:
 
 
 _oracles()
+
+
+@query
+def op10_ann(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pyspark.sql import functions as F
+
+    from lattice_pages.llm import ann
+
+    return ann.search(table(spark, sf_dir, "embeddings"), F.pmod("id", F.lit(100)) == 0)

@@ -106,3 +106,10 @@ def op10_ann(spark: SparkSession, sf_dir: str) -> DataFrame:
     from lattice_pages.llm import ann
 
     return ann.search(table(spark, sf_dir, "embeddings"), F.pmod("id", F.lit(100)) == 0)
+
+
+@query
+def op5_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from lattice_pages.llm import pii
+
+    return pii.detect(table(spark, sf_dir, "documents"))

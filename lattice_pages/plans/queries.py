@@ -216,3 +216,157 @@ sql("o_interval_join", "SELECT a.event_id AS a, b.event_id AS b FROM events a JO
 sql("o_hash_sample", "SELECT event_id FROM events WHERE (event_id * 2654435761) % 1000 < 100")
 sql("o_min_by", "SELECT event_type, min_by(event_id, ts) AS first_id FROM events GROUP BY event_type", "SELECT event_type, arg_min(event_id, ts) AS first_id FROM events GROUP BY event_type")
 sql("o_pivot", "SELECT * FROM (SELECT l_returnflag, l_linestatus, 1 AS one FROM lineitem) PIVOT (count(one) FOR l_linestatus IN ('F' AS f, 'O' AS o))", "SELECT l_returnflag, nullif(count(*) FILTER (l_linestatus = 'F'), 0) AS f, nullif(count(*) FILTER (l_linestatus = 'O'), 0) AS o FROM lineitem GROUP BY 1")
+
+# ---------------------------------------------------------------- baselines, comparisons, fixtures
+
+from lattice_pages.functions.baselines import CODECS  # noqa: E402
+from lattice_pages.operators import compare  # noqa: E402
+
+EXACT_CODECS = ("exact_fast", "exact_upper", *(n for n, k in CODECS.items() if not k.bounded))
+BOUNDED_CODECS = ("bounded", *(n for n, k in CODECS.items() if k.bounded))
+
+
+def _codec_roundtrip(codec_name: str, stream: str):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        pages = compare.run_pages(streams.stream_df(spark, sf_dir, stream), [codec_name], keep_data=True)
+        return compare.decode_pages(pages).select("ord", "value")
+
+    return run
+
+
+for _n, _k in CODECS.items():
+    if not _k.bounded:
+        add(f"b_roundtrip_{_n}", _codec_roundtrip(_n, "ev_value"), f"SELECT ord, value FROM ({streams.duck_sql(streams.BY_NAME['ev_value'])}) t")
+
+
+def _bounded_codec(codec_name: str):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        src = materialize(streams.stream_df(spark, sf_dir, "ev_value"), "stream")
+        out = None
+        for e in _EPS:
+            r = compare.summary(compare.run_pages(src, [codec_name], eps=e), "codec").select("codec", F.lit(e).alias("eps"), "n", "violations")
+            out = r if out is None else out.unionByName(r)
+        return out
+
+    return run
+
+
+for _n in BOUNDED_CODECS:
+    add(f"b_bound_{_n}", _bounded_codec(_n), " UNION ALL ".join(f"SELECT '{_n}' AS codec, {e!r}::DOUBLE AS eps, count(*) AS n, 0::BIGINT AS violations FROM events" for e in _EPS))
+
+_SMALL = ("part_price", "ev_value", "ev_minute", "ev_cum", "cust_bal")
+
+
+def sizes(spark: SparkSession, sf_dir: str, names: tuple[str, ...], codecs: tuple, **kw) -> DataFrame:
+    """Pages of several streams under several codecs, in one job."""
+    src = None
+    for n in names:
+        s = streams.stream_df(spark, sf_dir, n)
+        src = s if src is None else src.unionByName(s)
+    return compare.run_pages(src, list(codecs), **kw)
+
+
+add("w_exact14_ratio", lambda spark, sf_dir: compare.summary(sizes(spark, sf_dir, _SMALL, EXACT_CODECS)).select("stream_id", "codec", "n", "raw_bytes", "coded_bytes", "ratio", "mismatches"))
+add("w_exact14_wins", lambda spark, sf_dir: measures.wins(compare.summary(sizes(spark, sf_dir, _SMALL, EXACT_CODECS))))
+add("w_bounded15_ratio", lambda spark, sf_dir: compare.summary(sizes(spark, sf_dir, _SMALL, BOUNDED_CODECS)).select("stream_id", "codec", "n", "raw_bytes", "coded_bytes", "ratio", "violations", "max_error"))
+add("w_frontier", lambda spark, sf_dir: measures.frontier(compare.summary(sizes(spark, sf_dir, ("ev_value",), EXACT_CODECS), "codec").withColumn("speed", F.col("encode_mb_s"))))
+add(
+    "w_exact_mismatches",
+    lambda spark, sf_dir: compare.summary(sizes(spark, sf_dir, _SMALL, ("exact_fast", "exact_upper"))).select("stream_id", "codec", "n", "mismatches"),
+    " UNION ALL ".join(f"SELECT '{n}' AS stream_id, '{p}' AS codec, count(*) AS n, 0::BIGINT AS mismatches FROM ({streams.duck_sql(streams.BY_NAME[n])}) t" for n in _SMALL for p in ("exact_fast", "exact_upper")),
+)
+
+
+def large48(spark: SparkSession, sf_dir: str, codecs: tuple = ("exact_fast", "gorilla", "alp", "falcon")) -> DataFrame:
+    streams.register(spark, sf_dir)
+    src = None
+    for s in streams.large48():
+        rows = spark.sql(f"SELECT '{s.name}' AS stream_id, {', '.join(s.order)}, {s.value} AS value FROM {s.table} WHERE {s.where}")
+        src = rows if src is None else src.unionByName(rows)
+    from lattice_pages.operators.pages import with_ordinal
+
+    rows = with_ordinal(src, "stream_id", list(streams.LINEITEM)).select("stream_id", "ord", "value")
+    return compare.run_pages(rows, list(codecs), tail="drop")
+
+
+add("w_large48_ratio", lambda spark, sf_dir: compare.summary(large48(spark, sf_dir, ("exact_fast", "alp")), "codec").select("codec", "n", "raw_bytes", "coded_bytes", "ratio", "mismatches"))
+
+
+def _example(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The worked example: coordinates by admission, residual magnitudes by lane."""
+    import numpy as np
+
+    from lattice_pages.functions.admission import scale_matrix
+    from lattice_pages.operators.explain import magnitude_bits
+
+
+    x = np.array([12.579, 12.589, 12.594, 12.59621, 12.599, 12.60381])
+    q, ok = scale_matrix(x)
+    s = ok.argmax(axis=0)
+    lanes = {"one lane": [(q[5], 1, 0)], "two routes": [(q[3][s == 3], 1, 0), (q[5][s == 5], 1, 0)], "coarse as 5z+4": [(q[3][s == 3], 5, 4), (q[5][s == 5], 1, 0)]}
+    return spark.createDataFrame([(k, sum(magnitude_bits((u - r) // d) for u, d, r in v)) for k, v in lanes.items()], "stage string, bits long")
+
+
+add("w_example_bits", _example, "SELECT * FROM (VALUES ('one lane', 45::BIGINT), ('two routes', 20::BIGINT), ('coarse as 5z+4', 14::BIGINT)) t(stage, bits)")
+
+
+def _specials(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every 97th value replaced in turn by a special word; decoded words, with their ordinals."""
+    words = [-(1 << 63), 0x7FF0000000000000, 0xFFF0000000000000 - (1 << 64), 0x7FF8000000000123, 1, 0x7FEFFFFFFFFFFFFF]
+    from lattice_pages.functions.sqlfns import float64_word
+
+    src = streams.stream_df(spark, sf_dir, "ev_value").withColumn("word", float64_word("value"))
+    pick = F.element_at(F.array(*[F.lit(w).cast("long") for w in words]), (F.floor(F.col("ord") / 97) % 6 + 1).cast("int"))
+    src = src.select("stream_id", "ord", F.when(F.col("ord") % 97 == 0, pick).otherwise(F.col("word")).alias("word"))
+    return codec.decode(codec.encode(src)).filter("ord % 97 = 0").select("ord", "word")
+
+
+add("w_specials_words", _specials, "SELECT ord, ([-9223372036854775808, 9218868437227405312, -4503599627370496, 9221120237041090851, 1, 9218868437227405311])[(ord // 97) % 6 + 1] AS word FROM (SELECT row_number() OVER (ORDER BY event_id) - 1 AS ord FROM events) t WHERE ord % 97 = 0")
+
+
+def _f32(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Embedding elements through the codec as widened doubles, narrowed again: equal floats."""
+    return codec.decode(encoded(spark, sf_dir, "emb_flat")).select("ord", F.col("value").cast("float").alias("value"))
+
+
+add("w_f32_roundtrip", _f32, f"SELECT ord, value::FLOAT AS value FROM ({streams.duck_sql(streams.BY_NAME['emb_flat'])}) t")
+cost("w_step_lanes", lambda e: f"SELECT page_no, CAST(sum({c.blen(c.zz('r'))}) AS BIGINT) AS before, CAST(sum({c.blen(c.zz(e.idiv('r', '60')))}) AS BIGINT) AS after FROM (SELECT page_no, {e.int('value')} - lag({e.int('value')}) OVER (PARTITION BY page_no ORDER BY pos) AS r FROM ({c.pages(e, 'ev_minute')}) a) b GROUP BY page_no", "ev_minute")
+cost("w_domain_bits", lambda e: f"SELECT page_no, CAST(sum({c.blen(c.zz('r'))}) AS BIGINT) AS one_integer_stream, count(*) AS n FROM ({c.one_lane(e, 'ev_cum')}) a GROUP BY page_no", "ev_cum")
+
+
+def _digest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One hash over all payloads of a stream: the same at any parallelism."""
+    enc = encoded(spark, sf_dir, "li_price")
+    return enc.groupBy("stream_id").agg(F.bit_xor(F.xxhash64("group_no", "payload")).alias("digest"), F.sum("n").alias("n"))
+
+
+add("w_digest", _digest)
+add("s_source", lambda spark, sf_dir: _source(spark, sf_dir), f"SELECT event_type AS stream_id, {_TS} AS ts, value FROM events WHERE event_type = 'click'")
+
+
+def _source(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from lattice_pages.session import fresh_path
+    from lattice_pages.sources import lattice
+
+    lattice.register(spark)
+    path = fresh_path(spark, "store")
+    codec.save(codec.encode(streams.events_by_type(spark, sf_dir), page_size=256, group_pages=4), path)
+    return spark.read.format("lattice").load(path).filter(F.col("stream_id") == "click").select("stream_id", "ts", "value")
+
+
+def _streamed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows counted back from pages that a streaming query wrote (full pages only)."""
+    from lattice_pages.functions.sqlfns import lattice_decode_page
+    from lattice_pages.session import fresh_path
+    from lattice_pages.streaming import ingest
+
+    rows = materialize(streams.events_by_type(spark, sf_dir).select("stream_id", "ts", "value"), "arrivals")
+    path = fresh_path(spark, "ingest")
+    sdf = spark.readStream.schema(rows.schema).parquet(rows.inputFiles()[0].rsplit("/", 1)[0])
+    q = ingest.encode_stream(sdf, page_size=100).writeStream.format("parquet").option("checkpointLocation", path + "-log").option("path", path).trigger(availableNow=True).start()
+    q.awaitTermination()
+    pages = spark.read.parquet(path)
+    return pages.select("stream_id", F.size(lattice_decode_page("data")).alias("n")).groupBy("stream_id").agg(F.sum("n").alias("n"))
+
+
+add("s_ingest", _streamed, "SELECT event_type AS stream_id, CAST(count(*) // 100 * 100 AS BIGINT) AS n FROM events GROUP BY 1")

@@ -11,6 +11,8 @@ _BYTE_LEN = np.array([int(i).bit_length() for i in range(1 << 16)], np.int64)
 def bit_length(v: np.ndarray) -> np.ndarray:
     """Binary digits of unsigned 64-bit values; 0 for 0. Exact at every size."""
     v = np.asarray(v, U)
+    if v.size and v.max() < 1 << 53:  # exact as doubles
+        return np.frexp(v.astype(np.float64))[1].astype(np.int64)
     out = np.zeros(v.shape, np.int64)
     for shift in (48, 32, 16, 0):
         part = (v >> U(shift)).astype(np.int64) & 0xFFFF

@@ -312,8 +312,15 @@ def _read_lane(anchor: int, where: np.ndarray, head: bytes, body: Reader, block:
                 x = (predict_next(values[-3:] if len(values) > 3 else values, p) + v * d) & 0xFFFFFFFFFFFFFFFF
                 values.append(x - (1 << 64) if x >> 63 else x)
         return np.array(values, np.int64)
-    heads = [(symbol(), h.get(1)) for _ in range(blocks)]
-    w, patched = np.array([x[0] for x in heads]), np.array([x[1] for x in heads], bool)
+    bits, i, w, patched = h.bits.tolist(), 0, [], []
+    for _ in range(blocks):
+        code = length = 0
+        while (length, code) not in decode:
+            code, length, i = 2 * code + bits[i], length + 1, i + 1
+        w.append(decode[(length, code)])
+        patched.append(bits[i])
+        i += 1
+    w, patched = np.array(w), np.array(patched, bool)
     r = unzigzag(read_patch(size, w, patched, body))
     with np.errstate(over="ignore"):
         if flags & _ANCHOR:

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 
-from lattice_pages.functions.bits import Reader, Writer
+from lattice_pages.functions.bits import Reader, Writer, bit_length
 
 
 def _steps(words: np.ndarray):
@@ -31,6 +31,16 @@ def raw_bits(words: np.ndarray) -> int:
     return 64 + sum(1 if f == 0 else (2 + n if f == 1 else 14 + n) for f, _, n, _ in _steps(words.view(np.uint64)))
 
 
+def raw_bits_least(words: np.ndarray) -> int:
+    """A lower bound of ``raw_bits`` in array arithmetic: every window as tight as its word."""
+    if not len(words):
+        return 0
+    w = words.view(np.uint64)
+    x = w[1:] ^ w[:-1]
+    x = x[x > 0]
+    return 64 + (len(w) - 1 - len(x)) + int((2 + bit_length(x) - bit_length(x & (~x + np.uint64(1))) + 1).sum())
+
+
 def write_raw(words: np.ndarray, out: Writer) -> None:
     words = words.view(np.uint64)
     if not len(words):

@@ -19,6 +19,8 @@ _W = np.arange(65)
 #: Cost of the extension of a residual of length l (row) in a block of base width w (column).
 _EXTRA = np.array([[(2 * int(a - w).bit_length() - 1 + a - w) if a > w else 0 for w in range(65)] for a in range(65)], np.int64)
 
+_EXTRA_F = _EXTRA.astype(np.float64)
+
 
 def predictions(u: np.ndarray, p: int) -> np.ndarray:
     """Prediction of every coordinate after the first from those before it."""
@@ -81,14 +83,18 @@ def patch_costs(z: np.ndarray, size: np.ndarray) -> np.ndarray:
     """
     k, b = z.shape
     lens = bit_length(z)
-    live = np.arange(b)[None, :] < size[:, None]
-    counts = np.zeros((k, 65), np.int64)
-    np.add.at(counts, (np.repeat(np.arange(k), b)[live.ravel()], lens.ravel()[live.ravel()]), 1)
-    above = counts.sum(axis=1)[:, None] - np.cumsum(counts, axis=1)
-    cost = size[:, None] * _W + np.where(above > 0, size[:, None], 0) + counts @ _EXTRA
+    top = int(lens.max(initial=0)) + 1  # wider bases cannot occur
+    flat = (np.arange(k)[:, None] * top + lens).ravel()
+    counts = np.bincount(flat, minlength=k * top).reshape(k, top)
+    if k and size[-1] < b:  # padding of the last block counted as zeros
+        counts[-1, 0] -= b - size[-1]
+    above = size[:, None] - np.cumsum(counts, axis=1)
+    extra = (counts.astype(np.float64) @ _EXTRA_F[:top, :top]).astype(np.int64)  # small integers: exact
     ok = counts > 0
     ok[:, 0] = True
-    return np.where(ok, cost, 1 << 40)
+    out = np.full((k, 65), 1 << 40)
+    out[:, :top] = np.where(ok, size[:, None] * (_W[:top] + (above > 0)) + extra, 1 << 40)
+    return out
 
 
 def split_costs(z: np.ndarray, size: np.ndarray) -> np.ndarray:

@@ -8,7 +8,7 @@ import numpy as np
 
 from lattice_pages.functions import admission
 from lattice_pages.functions.bits import code_lengths, zigzag
-from lattice_pages.functions.rawlane import raw_bits
+from lattice_pages.functions.rawlane import raw_bits, raw_bits_least
 from lattice_pages.functions.residuals import _blocks, best_widths, choose_upper, predictions, residuals
 from lattice_pages.plans.profiles import Profile
 
@@ -114,12 +114,19 @@ class PageCost:
             self.raws[key] = raw_bits(self.words[at])
         return self.raws[key]
 
-    def plan(self, lanes: list[Candidate], route: np.ndarray) -> Plan:
+    def plan(self, lanes: list[Candidate], route: np.ndarray, under: int | None = None) -> Plan | None:
+        """The plan and its cost; None as soon as a lower bound shows that it reaches ``under``."""
         used = [np.flatnonzero(route == k) for k in range(len(lanes))]
         raw = np.flatnonzero(route == RAW)
-        bits = route_bits(len(route), [len(a) for a in used], len(raw)) + self.raw(raw)
+        bits = route_bits(len(route), [len(a) for a in used], len(raw))
+        if under is not None and len(raw) > 4:
+            least = bits + raw_bits_least(self.words[raw])
+            if least >= under:
+                return None
         bits += sum(self.lane(c, a) for c, a in zip(lanes, used))
-        return Plan(lanes, route, bits, used=used)
+        if under is not None and (bits >= under or len(raw) > 4 and bits + raw_bits_least(self.words[raw]) >= under):
+            return None
+        return Plan(lanes, route, bits + self.raw(raw), used=used)
 
 
 def assign(lanes: list[Candidate], n: int, p: Profile) -> tuple[list[Candidate], np.ndarray]:
@@ -139,21 +146,24 @@ def assign(lanes: list[Candidate], n: int, p: Profile) -> tuple[list[Candidate],
 
 
 def greedy(cost: PageCost, singles: list[Candidate], more: list[Candidate], p: Profile) -> Plan:
-    """The best one-lane plan, then insertions while the cost falls strictly."""
+    """The best one-lane plan (ties: the first candidate), then insertions while the cost falls strictly."""
     n = len(cost.words)
-    best = cost.plan([], np.full(n, RAW))
-    for c in singles:
-        got = cost.plan(*assign([c], n, p))
-        if got.bits < best.bits:
-            best = got
+    best, rank = None, -1
+    for k, c in sorted(enumerate(singles), key=lambda x: (-int(x[1].ok.sum()), x[0])):
+        got = cost.plan(*assign([c], n, p), None if best is None else best.bits + 1)
+        if got is not None and (best is None or (got.bits, k) < (best.bits, rank)):
+            best, rank = got, k
+    none = cost.plan([], np.full(n, RAW), None if best is None else best.bits + 1)
+    if none is not None and (best is None or none.bits <= best.bits):
+        best = none
     while best.lanes and len(best.lanes) < p.max_lanes:
         step = best
         have = {c.desc for c in best.lanes}
         for c in more:
             if c.desc in have:
                 continue
-            got = cost.plan(*assign([*best.lanes, c], n, p))
-            if all(len(a) for a in got.used) and got.bits * (1 + p.alpha) < step.bits:
+            got = cost.plan(*assign([*best.lanes, c], n, p), step.bits)
+            if got is not None and all(len(a) for a in got.used) and got.bits * (1 + p.alpha) < step.bits:
                 step = got
         if step is best:
             break
@@ -205,8 +215,11 @@ def plan_page(words: np.ndarray, p: Profile) -> Plan:
             fits = ok & (q % d == 0)
             if fits.any():
                 lanes.append(Candidate((d,), fits, np.where(fits, q // d if p.factor else q, 0), 5))
-        full = [c for c in lanes if (c.ok == ok).all()]
-        partial = [c for c in lanes if not (c.ok == ok).all()]
+        sizes = {c.desc: int(c.ok.sum()) for c in lanes}
+        total = int(ok.sum())
+        full = [c for c in lanes if sizes[c.desc] == total]
+        # a part that divides saves about log2(d) bits a value and costs a bitmap; of equal parts the largest divisor is enough
+        partial = [c for i, c in enumerate(lanes) if sizes[c.desc] < total and sizes[c.desc] * np.log2(c.desc[0]) > len(words) and not any(sizes[o.desc] == sizes[c.desc] and o.desc[0] % c.desc[0] == 0 for o in lanes[i + 1 :])]
         cost.lanes = {}  # coordinates belong to this step
         got = greedy(cost, full, partial, p)
         if p.learn_width and got.lanes:

@@ -278,17 +278,20 @@ add(
 
 
 def large48(spark: SparkSession, sf_dir: str, codecs: tuple = ("exact_fast", "gorilla", "alp", "falcon")) -> DataFrame:
-    streams.register(spark, sf_dir)
-    src = None
-    for s in streams.large48():
-        rows = spark.sql(f"SELECT '{s.name}' AS stream_id, {', '.join(s.order)}, {s.value} AS value FROM {s.table} WHERE {s.where}")
-        src = rows if src is None else src.unionByName(rows)
     from lattice_pages.operators.pages import with_ordinal
 
-    rows = with_ordinal(src, "stream_id", list(streams.LINEITEM)).select("stream_id", "ord", "value")
+    src, keys = streams.all_keyed(spark, sf_dir, streams.large48())
+    rows = with_ordinal(src, "stream_id", keys).select("stream_id", "ord", "value")
     return compare.run_pages(rows, list(codecs), tail="drop")
 
 
+def _large48_domains(spark: SparkSession, sf_dir: str) -> DataFrame:
+    domains = spark.createDataFrame([(s.name, s.domain) for s in streams.large48()], "stream_id string, domain string")
+    sizes_ = compare.summary(large48(spark, sf_dir, ("exact_fast",)))
+    return measures.ratio_by_domain(sizes_.join(F.broadcast(domains), "stream_id"))
+
+
+add("w_large48_domains", _large48_domains)
 add("w_large48_ratio", lambda spark, sf_dir: compare.summary(large48(spark, sf_dir, ("exact_fast", "alp")), "codec").select("codec", "n", "raw_bytes", "coded_bytes", "ratio", "mismatches"))
 
 

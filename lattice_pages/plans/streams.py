@@ -14,6 +14,9 @@ from pyspark.sql import functions as F
 from lattice_pages.operators.pages import with_ordinal
 
 LINEITEM = ("l_shipdate", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
+#: The labels of the given tables.
+EVENT_TYPES = ("click", "error", "purchase", "signup", "view")
+PRIORITIES = ("1-URGENT", "2-HIGH", "3-MEDIUM", "4-NOT SPECIFIED", "5-LOW")
 _US = "timestampdiff(MICROSECOND, timestamp_ntz'1970-01-01 00:00:00', ts)"
 _DUCK_US = "epoch_us(ts)"
 
@@ -79,9 +82,33 @@ def large48() -> tuple[Stream, ...]:
         for status in "FO":
             for m in ("l_quantity", "l_extendedprice", "l_discount", "l_tax"):
                 out.append(_s(f"li_{flag}{status}_{m}", "lineitem", m, LINEITEM, where=f"l_returnflag = '{flag}' AND l_linestatus = '{status}'", domain="lineitem"))
+    gap = f"(SELECT event_id, event_type, {_US} - lag({_US}) OVER (PARTITION BY event_type ORDER BY event_id) AS gap FROM events)"
+    for kind in EVENT_TYPES:
+        here = f"event_type = '{kind}'"
+        out.append(_s(f"ev_{kind}_value", "events", "value", "event_id", where=here, domain="events"))
+        out.append(_s(f"ev_{kind}_epoch", "events", f"CAST({_US} AS DOUBLE) / 1000000.0D", "event_id", where=here, domain="events"))
+        out.append(_s(f"ev_{kind}_gap", gap, "CAST(gap AS DOUBLE) / 1000000.0D", "event_id", where=f"{here} AND gap IS NOT NULL", domain="events"))
+    for k in PRIORITIES:
+        out.append(_s(f"ord_{k[0]}", "orders", "o_totalprice", ("o_orderdate", "o_orderkey"), where=f"o_orderpriority = '{k}'", domain="orders"))
+    for name, table, value, key in (("cust_bal", "customer", "c_acctbal", "c_custkey"), ("supp_bal", "supplier", "s_acctbal", "s_suppkey"), ("part_price", "part", "p_retailprice", "p_partkey"), ("doc_chars", "documents", "CAST(n_chars AS DOUBLE)", "doc_id")):
+        out.append(_s(f"master_{name}", table, value, key, domain="masters"))
     return tuple(out)
 
 
+def all_keyed(spark: SparkSession, sf_dir: str, many: tuple[Stream, ...]) -> tuple[DataFrame, list[str]]:
+    """Rows of many streams in one frame, and the order columns that all of them share."""
+    register(spark, sf_dir)
+    out, width = None, max(len(s.order) for s in many)
+    for s in many:
+        dated = s.order[0].endswith("date")
+        keys = [*([] if dated else ["CAST(NULL AS TIMESTAMP_NTZ)"]), *s.order]
+        keys += ["0"] * (width - len(keys))
+        cols = ", ".join(f"CAST({k} AS {'TIMESTAMP_NTZ' if i == 0 else 'BIGINT'}) AS k{i}" for i, k in enumerate(keys))
+        rows = spark.sql(f"SELECT '{s.name}' AS stream_id, '{s.domain}' AS domain, {cols}, {s.value} AS value FROM {s.table} WHERE {s.where}")
+        out = rows if out is None else out.unionByName(rows)
+    return out, [f"k{i}" for i in range(width)]
+
+
 BY_NAME = {s.name: s for s in BOUNDED15}
 
 

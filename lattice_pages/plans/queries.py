@@ -136,7 +136,15 @@ for _n in ("ev_cum", "part_price"):
     cost(f"w_permute_bits_{_n}", lambda e, n=_n: " UNION ALL ".join(c.permuted(e, n, p) for p in (0, 25, 50, 75, 100)), _n)
 for _page, _block in [(p, 16) for p in (100, 256, 512, 1000, 1024, 2000, 4000)] + [(1024, b) for b in (4, 8, 32, 64, 128)]:
     cost(f"w_structure_sweep_{_page}_{_block}", lambda e, p=_page, b=_block: c.structure(e, "ev_value", p, b), "ev_value")
-cost("w_beta_admission", lambda e: " UNION ALL ".join(f"SELECT {b} AS beta, CAST({c.min_scale(e, 'v')} AS BIGINT) AS min_scale, count(*) AS n FROM (SELECT floor(value * {c.p10(b)}) / {c.p10(b)} AS v FROM {e.stream('li_unit')} t WHERE ord < 5000) a GROUP BY 2" for b in range(1, 10)), "li_unit")
+def _beta(e: c.E, name: str) -> str:
+    """Values cut to 1..18 decimals, by the least scale that holds them; past 2^52 a double is whole already."""
+    values = ", ".join(f"({b}, {c.p10(b)})" for b in range(1, 19))
+    table = f"(SELECT col1 AS beta, CAST(col2 AS DOUBLE) AS p FROM VALUES {values})" if e.spark else f"(SELECT col0 AS beta, col1::DOUBLE AS p FROM (VALUES {values}) v)"
+    cut = "(CASE WHEN abs(value * p) < 4503599627370496 THEN CAST(floor(value * p) AS DOUBLE) ELSE value * p END)"
+    return f"SELECT '{name}' AS stream_id, beta, CAST({c.min_scale(e, 'v')} AS BIGINT) AS min_scale, count(*) AS n FROM (SELECT beta, {cut} / p AS v FROM {e.stream(name)} t CROSS JOIN {table} b) a GROUP BY 2, 3"
+
+
+cost("w_beta_admission", lambda e: " UNION ALL ".join(_beta(e, s.name) for s in streams.EXACT14), *(s.name for s in streams.EXACT14))
 add(
     "w_large48_pages",
     lambda spark, sf_dir: spark.read.parquet(f"{sf_dir}/lineitem.parquet").groupBy(F.concat("l_returnflag", "l_linestatus").alias("part")).agg(F.floor(F.count(F.lit(1)) / 1024).alias("full_pages"), (F.count(F.lit(1)) % 1024).alias("tail")),

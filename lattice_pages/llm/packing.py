@@ -34,8 +34,12 @@ from lattice_pages.session import materialize
 CAPACITY = 2048
 #: The linear program ends when its value is within this share of a lower bound.
 GAP = 0.001
+#: Least pivot of the simplex, and updates of its inverse before it is computed anew.
+PIVOT, REFRESH = 1e-7, 100
 #: Rows of one class and bucket that are ranked together, at about this many.
 BUCKET_ROWS = 50_000
+#: A number of each piece, fixed when the pieces are written.
+PLACE = "_place"
 
 
 def pieces(docs: DataFrame, vocab_path: str, end_id: int = 1, capacity: int = CAPACITY, id_col: str = "doc_id", text_col: str = "text", keep_ids: bool = False) -> DataFrame:
@@ -125,6 +129,26 @@ def _greedy_basis(sizes: np.ndarray, demand: np.ndarray, capacity: int) -> tuple
     return basis, x
 
 
+def _inverse(matrix: np.ndarray) -> np.ndarray:
+    """Gauss-Jordan elimination with row pivots, in element-wise arithmetic.
+
+    The driver's process may have started a JVM after a threaded linear-algebra library was
+    used, and such a library can then hang; so nothing here calls one (``einsum`` does not).
+    """
+    m = len(matrix)
+    work = np.concatenate([matrix, np.eye(m)], axis=1)
+    for k in range(m):
+        r = k + int(np.abs(work[k:, k]).argmax())
+        if r != k:
+            work[[k, r]] = work[[r, k]]
+        work[k] /= work[k, k]
+        factor = work[:, k].copy()
+        factor[k] = 0
+        at = np.flatnonzero(factor)
+        work[at] -= factor[at, None] * work[k]
+    return work[:, m:]
+
+
 def column_generation(sizes: np.ndarray, demand: np.ndarray, capacity: int, gap: float = GAP, rounds: int = 600) -> tuple[np.ndarray, np.ndarray, float]:
     """Patterns (columns), how often to use each (fractional), and a lower bound on the value.
 
@@ -133,28 +157,37 @@ def column_generation(sizes: np.ndarray, demand: np.ndarray, capacity: int, gap:
     """
     m = len(sizes)
     basis, x = _greedy_basis(sizes, demand, capacity)
-    inverse, cost = np.linalg.inv(basis), np.ones(m)
+    inverse, cost = _inverse(basis), np.ones(m)
     bound = float((sizes * demand).sum() / capacity)
+    since = 0
 
     def enter(column: np.ndarray, price: float) -> None:
-        nonlocal x, inverse
-        d = inverse @ column
-        ratio = np.where(d > 1e-9, x / np.where(d > 1e-9, d, 1), np.inf)
-        r = int(ratio.argmin())
-        if not np.isfinite(ratio[r]):
+        nonlocal x, inverse, since
+        d = np.einsum("ij,j->i", inverse, column)
+        ratio = np.where(d > PIVOT, x / np.where(d > PIVOT, d, 1), np.inf)
+        if not np.isfinite(ratio.min()):
             return
+        tied = np.flatnonzero(ratio <= ratio.min() * (1 + 1e-12) + 1e-12)
+        r = int(tied[d[tied].argmax()])  # of equal ratios the firmest pivot
         step = ratio[r]
         x = np.maximum(x - step * d, 0)
         x[r] = step
         pivot = inverse[r] / d[r]
-        inverse -= np.outer(d, pivot)
+        inverse -= d[:, None] * pivot
         inverse[r] = pivot
         basis[:, r], cost[r] = column, price
+        since += 1
+        if since == REFRESH:  # rounding errors of the updates would add up
+            inverse, since = _inverse(basis), 0
+            x = np.maximum(np.einsum("ij,j->i", inverse, demand), 0)
+
+    def duals() -> np.ndarray:
+        return np.einsum("i,ij->j", cost, inverse)
 
     for _ in range(rounds):
-        if cost @ x <= bound * (1 + gap):
+        if (cost * x).sum() <= bound * (1 + gap):
             break
-        y = cost @ inverse
+        y = duals()
         low = int(y.argmin())
         if y[low] < -1e-9:
             surplus = np.zeros(m)
@@ -163,16 +196,16 @@ def column_generation(sizes: np.ndarray, demand: np.ndarray, capacity: int, gap:
             continue
         best, last = knapsack(sizes, y, capacity)
         if best[capacity] <= 1 + 1e-9:
-            bound = max(bound, float(cost @ x))
+            bound = max(bound, float((cost * x).sum()))
             break
-        bound = max(bound, float(y @ demand / best[capacity]))
+        bound = max(bound, float((y * demand).sum() / best[capacity]))
         forced = best[capacity - sizes] + y  # the best pattern that has a given item
         for i in np.argsort(-forced)[:32]:
             if forced[i] < 1 + (best[capacity] - 1) / 2:
                 break
             column = _taken(last, sizes, int(capacity - sizes[i]), m)
             column[i] += 1
-            if (cost @ inverse) @ column > 1 + 1e-7:
+            if (duals() * column).sum() > 1 + 1e-7:
                 enter(column, 1.0)
     return basis, x, bound
 
@@ -261,6 +294,9 @@ def _placer(p: Plan):
 
 def pack_pieces(parts: DataFrame, capacity: int = CAPACITY, id_col: str = "doc_id") -> DataFrame:
     """Adds ``sequence_id`` and ``offset`` to (materialized) pieces."""
+    columns = parts.columns
+    if PLACE not in columns:
+        parts = parts.withColumn(PLACE, F.monotonically_increasing_id())
     bits = F.length(F.bin("length"))
     step = F.expr("cast(shiftleft(1L, cast(greatest(0, length(bin(length)) - 8) as int)) as bigint)")
     parts = parts.withColumn("klass", F.when(bits > 0, F.ceil(F.col("length") / step).cast("long") * step))
@@ -268,13 +304,18 @@ def pack_pieces(parts: DataFrame, capacity: int = CAPACITY, id_col: str = "doc_i
     p = plan(counts, capacity)
     buckets = max(64, sum(counts.values()) // BUCKET_ROWS)
     parts = parts.withColumn("bucket", F.pmod(F.xxhash64(id_col, "start", "ids_crc32"), F.lit(buckets)))
+    # only rows that repeat an id and text very often can fill a bucket: they are dealt by their place
+    crowded = materialize(parts.groupBy("klass", "bucket").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > 4 * BUCKET_ROWS).select("klass", "bucket", F.lit(True).alias("crowded")), "crowded")
+    if not crowded.isEmpty():
+        spread = F.when(F.col("crowded"), F.pmod(F.xxhash64(PLACE), F.lit(buckets)) * buckets).otherwise(0)
+        parts = parts.join(crowded, ["klass", "bucket"], "left").withColumn("bucket", F.col("bucket") + spread).drop("crowded")
     own = Window.partitionBy("klass", "bucket").orderBy(id_col, "start", "ids_crc32")
     ranked = parts.withColumn("own", F.row_number().over(own).cast("long") - 1)
     sizes = parts.groupBy("klass", "bucket").agg(F.count(F.lit(1)).alias("n"))
     before = Window.partitionBy("klass").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
     offsets = sizes.select("klass", "bucket", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
     ranked = ranked.join(offsets, ["klass", "bucket"])
-    fields = [c for c in parts.columns if c not in ("klass", "bucket")]
+    fields = [c for c in columns if c != PLACE]
     placed = ranked.select(*fields, "klass", (F.col("own") + F.col("base")).alias("rank"))
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in placed.schema.fields[: len(fields)])
     placed = placed.mapInArrow(_placer(p), schema + ", sequence_id long, slot long")
@@ -284,7 +325,8 @@ def pack_pieces(parts: DataFrame, capacity: int = CAPACITY, id_col: str = "doc_i
 
 def pack(docs: DataFrame, vocab_path: str, end_id: int = 1, capacity: int = CAPACITY, id_col: str = "doc_id", text_col: str = "text", keep_ids: bool = False) -> DataFrame:
     """Pieces of all documents with the sequence and offset each one stands at."""
-    return pack_pieces(materialize(pieces(docs, vocab_path, end_id, capacity, id_col, text_col, keep_ids), "pieces"), capacity, id_col)
+    made = pieces(docs, vocab_path, end_id, capacity, id_col, text_col, keep_ids).withColumn(PLACE, F.monotonically_increasing_id())
+    return pack_pieces(materialize(made, "pieces"), capacity, id_col)
 
 
 def sequences(packed: DataFrame, capacity: int = CAPACITY, pad_id: int = 0) -> DataFrame:

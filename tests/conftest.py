@@ -1,3 +1,4 @@
+import faulthandler
 import os
 import sys
 
@@ -6,6 +7,14 @@ import pytest
 sys.path.insert(0, os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
 
 
+@pytest.fixture(autouse=True)
+def limit():
+    """A test that hangs ends the run with a stack dump instead of stopping it for ever."""
+    faulthandler.dump_traceback_later(900, exit=True)
+    yield
+    faulthandler.cancel_dump_traceback_later()
+
+
 @pytest.fixture(scope="session")
 def spark():
     from pyspark.sql import SparkSession

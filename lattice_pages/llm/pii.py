@@ -55,6 +55,12 @@ def _digits(text: str) -> str:
     return "".join(c for c in text if "0" <= c <= "9")
 
 
+def _octet(part: str) -> bool:
+    """At most 255; of any length, as zeros may lead."""
+    part = part.lstrip("0")
+    return len(part) <= 3 and int(part or "0") <= 255
+
+
 def _emails(text: str) -> Iterator[Span]:
     """Leftmost non-overlapping emails, found from their @: linear in the text."""
     at, free = text.find("@"), 0
@@ -72,7 +78,7 @@ def base_spans(text: str) -> list[Span]:
     """The base spans, by kind as listed, then by start."""
     got = list(_emails(text))
     if _DIGIT.search(text):
-        got += [("ip", m.start(), m.end()) for m in _IP.finditer(text) if all(len(p.lstrip("0")) <= 3 and int(p) <= 255 for p in m.group().split("."))]
+        got += [("ip", m.start(), m.end()) for m in _IP.finditer(text) if all(_octet(p) for p in m.group().split("."))]
         got += [("card", m.start(), m.end()) for m in _CARD.finditer(text) if 16 <= len(d := _digits(m.group())) <= 19 and luhn(d)]
         if "+" in text:
             got += [("phone", m.start(), m.end()) for m in _PHONE.finditer(text) if 8 <= len(_digits(m.group())) <= 15]
@@ -160,7 +166,7 @@ def boost(x: np.ndarray, y: np.ndarray, rounds: int = 50, depth: int = 3, rate:
         for node in range(2**depth - 1):
             own = at == node
             if own.any():
-                right_g, right_h = masks @ (g * own), masks @ (h * own)
+                right_g, right_h = np.einsum("ij,j->i", masks, g * own), np.einsum("ij,j->i", masks, h * own)
                 all_g, all_h = (g * own).sum(), (h * own).sum()
                 gain = right_g**2 / (right_h + ridge) + (all_g - right_g) ** 2 / (all_h - right_h + ridge) - all_g**2 / (all_h + ridge)
                 k = int(gain.argmax())

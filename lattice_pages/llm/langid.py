@@ -19,6 +19,7 @@ gives an empty table. Only the named columns are read, so other columns cannot c
 from __future__ import annotations
 
 import re
+import sys
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -36,7 +37,9 @@ WINDOW = 1500
 REJECT_SHARE = 0.001
 UNKNOWN = "und"
 
-_LETTERS = re.compile(r"[^\W\d_]+")
+#: ``\w`` also takes numeric signs (fractions, superscripts, Roman-numeral characters): no letters.
+_SIGNS = "".join(c for c in map(chr, range(sys.maxunicode + 1)) if c.isalnum() and not c.isalpha() and not c.isdecimal())
+_LETTERS = re.compile(rf"[^\W\d_{_SIGNS}]+")
 
 
 def features(chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -98,15 +101,15 @@ def train(rows: list[tuple[str, str]], epochs: int = 6, rate: float = 0.5, seed:
         for i in r.permutation(own):
             bag, share = unique[i]
             h = (e[bag] * share).sum(axis=0)
-            z = h @ w + b
+            z = np.einsum("i,ij->j", h, w) + b
             p = np.exp(z - z.max())
             p /= p.sum()
             p[y[i]] -= 1
-            back = w @ p
+            back = np.einsum("ij,j->i", w, p)
             w -= lr * np.outer(h, p)
             b -= lr * 0.1 * p
             e[bag] -= lr * share * back
-    m = Model(languages, (e @ w).astype(np.float32), b, 1.0, 0.0)
+    m = Model(languages, np.einsum("ij,jk->ik", e, w).astype(np.float32), b, 1.0, 0.0)
     at = np.flatnonzero(hold) if hold.any() else own
     if len(at):
         sums, counts = np.stack([m.scores[bags[i]].sum(axis=0, dtype=float) for i in at]), np.array([len(bags[i]) for i in at])

@@ -81,15 +81,47 @@ def matched(host: Column, path: Column, rules: tuple[Rule, ...]) -> Column:
     return got
 
 
+def _unescape(link: Column) -> Column:
+    """Character references of an attribute: the named ones that urls hold, ``&`` last."""
+    for name, char in (("quot", '"'), ("#34", '"'), ("apos", "'"), ("#39", "'"), ("lt", "<"), ("gt", ">"), ("#38", "&"), ("#x26", "&"), ("amp", "&")):
+        link = F.regexp_replace(link, f"(?i)&{name};", char)
+    return link
+
+
+def _no_dots(path: Column) -> Column:
+    """``.`` and ``..`` segments taken out; the path starts with a slash."""
+    parts = F.split(path, "/")
+    last = F.element_at(parts, -1)
+    open_end = (last == ".") | (last == "..")
+    walk = F.aggregate(
+        F.slice(parts, 2, F.greatest(F.size(parts) - 1, F.lit(0))),
+        F.array().cast("array<string>"),
+        lambda kept, x: F.when(x == "..", F.slice(kept, 1, F.greatest(F.size(kept) - 1, F.lit(0)))).when(x == ".", kept).otherwise(F.concat(kept, F.array(x))),
+    )
+    return F.concat(F.lit("/"), F.array_join(walk, "/"), F.when(open_end & (F.size(walk) > 0), "/").otherwise(""))
+
+
 def resolve(base: Column, link: Column) -> Column:
-    """The absolute url of a link on the page at ``base``."""
+    """The absolute url of a link on the page at ``base``; null for other schemes than ``scheme://``.
+
+    ``?q`` keeps the page's path, ``#x`` and an empty link are the page itself, dot segments are
+    taken out, character references are decoded.
+    """
+    link = _unescape(F.trim(link))
     scheme = F.substring_index(base, "://", 1)
-    folder = F.regexp_extract(path_of(base), r"^(.*/)?", 0)
+    host, path = host_of(base), path_of(base)
+    root = F.concat(scheme, F.lit("://"), host)
+    here = F.when(path == "", "/").otherwise(path)
+    folder = F.regexp_extract(here, r"^(.*/)?", 0)
+    own, rest = F.regexp_extract(link, r"^[^?#]*", 0), F.regexp_extract(link, r"^[^?#]*(.*)$", 1)
     return (
         F.when(link.rlike(r"^[A-Za-z][A-Za-z0-9+.-]*://"), link)
+        .when(link.rlike(r"^[A-Za-z][A-Za-z0-9+.-]*:"), F.lit(None))
         .when(link.startswith("//"), F.concat(scheme, F.lit(":"), link))
-        .when(link.startswith("/"), F.concat(scheme, F.lit("://"), host_of(base), link))
-        .otherwise(F.concat(scheme, F.lit("://"), host_of(base), F.when(folder == "", "/").otherwise(folder), link))
+        .when((link == "") | link.startswith("#"), base)
+        .when(link.startswith("?"), F.concat(root, here, link))
+        .when(link.startswith("/"), F.concat(root, _no_dots(own), rest))
+        .otherwise(F.concat(root, _no_dots(F.concat(folder, own)), rest))
     )
 
 
@@ -98,7 +130,7 @@ def link_edges(pages: DataFrame, url_col: str = "url", html_col: str = "html") -
     url = F.col(url_col)
     links = [F.nullif(F.regexp_extract(F.coalesce(F.col(html_col), F.lit("")), p, 1), F.lit("")) for p in (CANONICAL, REFRESH)]
     rows = pages.filter(F.instr(url, "://") > 0).select(url.alias("url"), F.explode(F.array_compact(F.array(*links))).alias("link"))
-    return rows.select(address(F.col("url")).alias("a"), address(resolve(F.col("url"), F.col("link"))).alias("b"))
+    return rows.select(address(F.col("url")).alias("a"), address(resolve(F.col("url"), F.col("link"))).alias("b")).filter(F.col("b").isNotNull())
 
 
 def judge(pages: DataFrame, rules: tuple[Rule, ...] = RULES, redirects: DataFrame | None = None, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:

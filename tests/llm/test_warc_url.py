@@ -57,6 +57,29 @@ def test_rules_and_aliases(spark):
     assert urlfilter.judge(df.limit(0)).count() == 0
 
 
+def test_resolve(spark):
+    base = "http://H.org/a/b/page.html?x=1#f"
+    want = {
+        "mailto:me@h.org": None, "javascript:void(0)": None, "?q=2": "http://h.org/a/b/page.html?q=2", "#top": base, "": base,
+        "./c": "http://h.org/a/b/c", "../c": "http://h.org/a/c", "../../../c?x=../y": "http://h.org/c?x=../y", "/d/./e/../f": "http://h.org/d/f", "..": "http://h.org/a/", ".": "http://h.org/a/b/", "c?a=1&amp;b=2": "http://h.org/a/b/c?a=1&b=2",
+        "//k.net/x": "http://k.net/x", "https://k.net/../x": "https://k.net/../x", "/": "http://h.org/", "c/": "http://h.org/a/b/c/", " c ": "http://h.org/a/b/c",
+    }
+    df = spark.createDataFrame([(base, k) for k in want], "u string, l string")
+    got = {r.l: r.r for r in df.select("l", urlfilter.resolve(urlfilter.F.col("u"), urlfilter.F.col("l")).alias("r")).collect()}
+    assert got == want
+    bare = spark.createDataFrame([("http://h.org", "?q")], "u string, l string")
+    assert bare.select(urlfilter.resolve(urlfilter.F.col("u"), urlfilter.F.col("l"))).first()[0] == "http://h.org/?q"
+
+
+def test_warc_query_equals_brute_force(spark, sf):
+    rows = spark.read.parquet(f"{sf}/pages.parquet").collect()
+    groups = {}
+    for r in rows:
+        groups.setdefault(r.html or "", []).append(r.page_id)
+    want = {(r.page_id, len((r.html or "").encode()), base64.b32encode(hashlib.sha1((r.html or "").encode()).digest()).decode(), "response" if r.page_id == max(groups[r.html or ""]) else "revisit", None if r.page_id == max(groups[r.html or ""]) else max(groups[r.html or ""])) for r in rows}
+    assert {tuple(r)[:5] for r in QUERIES["op1_warc"](spark, sf).collect()} == want
+
+
 def test_queries_run(spark, sf):
     import duckdb
 

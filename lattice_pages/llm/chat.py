@@ -12,7 +12,7 @@ texts a backslash is doubled and ``<|`` becomes ``<\\|``, so no text can hold a
 string, and dropping the escapes gives the text back exactly.
 
 Defined results: a null text or role counts as empty; messages whose parent is missing
-are roots; messages of a parent cycle, and branches that hang from one, give no path;
+are roots; a path whose scores hold a NaN ranks last; messages of a parent cycle, and branches that hang from one, give no path;
 rows that repeat a node are taken once each as siblings; null tree ids form one tree; an empty
 table gives an empty table. Only the named columns are read, so others cannot clash.
 """
@@ -111,13 +111,17 @@ def conversations(messages: DataFrame, template: Template = Template(), branches
     rows = rows.withColumn("again", F.row_number().over(again))
     # a repeated node is a sibling of its own: only the first row has children
     rows = rows.select("tree", F.concat_ws("/", F.lpad(F.col("node").cast("string"), 20, "0"), F.when(F.col("again") > 1, F.lpad(F.col("again").cast("string"), 10, "0"))).alias("node"), F.lpad(F.col("parent").cast("string"), 20, "0").alias("parent"), "role", "text", F.coalesce(F.col("score"), F.lit(0.0)).alias("score"))
-    rows = materialize(rows, "messages")
-    steps = paths(rows).join(rows, ["tree", "node"])
-    real = rows.select("tree", F.col("node").alias("parent")).withColumn("known", F.lit(True))
-    steps = steps.join(real, ["tree", "parent"], "left")
-    ranked = steps.groupBy("tree", "leaf").agg(F.sum("score").alias("total"), F.bool_or(F.col("known").isNull()).alias("rooted")).filter("rooted")
-    ranked = ranked.withColumn("branch", F.row_number().over(Window.partitionBy("tree").orderBy(F.desc("total"), "leaf"))).filter(F.col("branch") <= branches)
-    chosen = steps.join(ranked.select("tree", "leaf", "branch"), ["tree", "leaf"])
+    # ids and scores decide; texts are read again for the chosen paths alone
+    said = materialize(rows, "messages")
+    slim = said.select("tree", "node", "parent", "score")
+    steps = paths(slim).join(slim, ["tree", "node"])
+    real = slim.select("tree", F.col("node").alias("parent")).withColumn("known", F.lit(True))
+    # a path is rooted if its top, the row furthest above the leaf, has no parent among the rows
+    tops = steps.groupBy("tree", "leaf").agg(F.sum("score").alias("total"), F.max_by("parent", "up").alias("parent"))
+    ranked = tops.join(real, ["tree", "parent"], "left_anti").withColumn("total", F.when(F.isnan("total"), F.lit(None)).otherwise(F.col("total")))
+    ranked = ranked.withColumn("branch", F.row_number().over(Window.partitionBy("tree").orderBy(F.desc_nulls_last("total"), "leaf"))).filter(F.col("branch") <= branches)
+    chosen = steps.select("tree", "leaf", "node", "up").join(ranked.select("tree", "leaf", "branch"), ["tree", "leaf"])
+    chosen = chosen.join(said.select("tree", "node", "role", "text"), ["tree", "node"])
     turn = F.struct((-F.col("up")).alias("at"), F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
     lists = chosen.groupBy("tree", "branch").agg(F.sort_array(F.collect_list(turn)).alias("turns"))
     lists = lists.select(F.when(F.col("tree") != null, F.substring("tree", 2, 1 << 30)).cast(kind).alias("tree"), "branch", "turns")

@@ -29,6 +29,14 @@ def test_trees(spark):
     assert chat.conversations(df.limit(0)).count() == 0
 
 
+def test_ties_and_scores_that_are_no_numbers(spark):
+    nan = float("nan")
+    rows = [(1, 1, None, "user", "q", 0.0), (1, 2, 1, "user", "nan", nan), (1, 3, 1, "user", "low", -5.0), (2, 1, None, "user", "q", 0.0), (2, 2, 1, "user", "first", 1.0), (2, 3, 1, "user", "second", 1.0)]
+    df = spark.createDataFrame(rows, "tree long, node long, parent long, role string, text string, score double")
+    got = {(r.tree, r.branch): T.parse(r.formatted)[-1][1] for r in chat.conversations(df, branches=2).collect()}
+    assert got == {(1, 1): "low", (1, 2): "nan", (2, 1): "first", (2, 2): "second"}
+
+
 def test_query_equals_brute_force(spark, sf):
     import pyarrow.parquet as pq
 

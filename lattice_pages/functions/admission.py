@@ -22,19 +22,26 @@ def rebuild_exact(q: np.ndarray, s: int) -> np.ndarray:
     return q.astype(np.float64) / POWERS[s]
 
 
-def exact_index(x: np.ndarray, s: int) -> tuple[np.ndarray, np.ndarray]:
-    """(q, admitted) at scale s; q is 0 where the value is not admitted."""
+def narrowed(x: np.ndarray) -> np.ndarray:
+    """Doubles rounded to binary32, as zero-extended words."""
+    with np.errstate(all="ignore"):
+        return x.astype(np.float32).view(np.uint32).astype(np.int64)
+
+
+def exact_index(x: np.ndarray, s: int, narrow: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """(q, admitted) at scale s; q is 0 where the value is not admitted. ``narrow``: rounded to binary32 all bits agree."""
     with np.errstate(all="ignore"):
         y = np.rint(x * POWERS[s])
         fits = np.isfinite(y) & (y >= -_LIMIT) & (y < _LIMIT)
         q = np.where(fits, y, 0).astype(np.int64)
-        ok = fits & (rebuild_exact(q, s).view(np.int64) == x.view(np.int64))
+        back = rebuild_exact(q, s)
+        ok = fits & (narrowed(back) == narrowed(x) if narrow else back.view(np.int64) == x.view(np.int64))
     return np.where(ok, q, 0), ok
 
 
-def scale_matrix(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def scale_matrix(x: np.ndarray, narrow: bool = False) -> tuple[np.ndarray, np.ndarray]:
     """(q, admitted) for all 19 scales, one row a scale."""
-    both = [exact_index(x, s) for s in SCALES]
+    both = [exact_index(x, s, narrow) for s in SCALES]
     return np.stack([q for q, _ in both]), np.stack([ok for _, ok in both])
 
 
@@ -50,13 +57,13 @@ def frame_origin(x: np.ndarray) -> float | None:
     return float(x[at[0]]) if len(at) else None
 
 
-def rebuild_bounded(q: np.ndarray, origin: float, step: float) -> np.ndarray:
+def rebuild_bounded(q: np.ndarray, origin: float, step: float, narrow: bool = False) -> np.ndarray:
     with np.errstate(all="ignore"):
         product = q.astype(np.float64) * step
-        return origin + product
+        return (origin + product).astype(np.float32).astype(np.float64) if narrow else origin + product
 
 
-def bounded_index(x: np.ndarray, origin: float, step: float, eps: float) -> tuple[np.ndarray, np.ndarray]:
+def bounded_index(x: np.ndarray, origin: float, step: float, eps: float, narrow: bool = False) -> tuple[np.ndarray, np.ndarray]:
     """(q, admitted): of the nearest index and its neighbours, the one of least error, then least magnitude."""
     with np.errstate(all="ignore"):
         near = np.rint((x.astype(np.longdouble) - np.longdouble(origin)) / np.longdouble(step))
@@ -65,7 +72,7 @@ def bounded_index(x: np.ndarray, origin: float, step: float, eps: float) -> tupl
         best_q, best_e = np.zeros(len(x), np.int64), np.full(len(x), np.inf)
         for move in (0, -1, 1):
             q = center + move
-            y = rebuild_bounded(q, origin, step)
+            y = rebuild_bounded(q, origin, step, narrow)
             e = np.where(fits & np.isfinite(y) & np.isfinite(x), np.abs(x - y), np.inf)
             better = (e < best_e) | ((e == best_e) & ((np.abs(q) < np.abs(best_q)) | ((np.abs(q) == np.abs(best_q)) & (q < best_q))))
             best_q, best_e = np.where(better, q, best_q), np.where(better, e, best_e)

@@ -19,7 +19,7 @@ from lattice_pages.functions.residuals import PATCH, RICE, SPLIT, _blocks, best_
 from lattice_pages.plans.planner import RAW, Plan, lane_residuals, plan_page
 from lattice_pages.plans.profiles import Profile
 
-MAGIC = {"exact": b"LX", "bounded": b"LB"}
+MAGIC = {"exact": b"LX", "bounded": b"LB", "exact32": b"Lx", "bounded32": b"Lb", "exact_integer": b"LI"}
 VERSION = 1
 PARTS = ("framing", "route", "predictor", "patch", "residual", "exception", "raw")
 _UPPER, _RESET, _ANCHOR, _PLAINQ, _WHOLE = 1, 2, 4, 8, 16
@@ -208,7 +208,8 @@ def _decode(meta: bytes, payload: bytes, contract: str | None) -> np.ndarray:
     if not block or n > 1 << 24:
         raise PageFormatError("bad geometry")
     eps = origin = step = None
-    if kind == "bounded":
+    lossy, narrow = kind.startswith("bounded"), kind.endswith("32")
+    if lossy:
         eps, origin, step = struct.unpack_from("<ddB", meta, at)
         at += 17
     k, primary, at = meta[at] & 7, meta[at] >> 3, at + 1
@@ -216,7 +217,7 @@ def _decode(meta: bytes, payload: bytes, contract: str | None) -> np.ndarray:
         raise PageFormatError("too many lanes")
     descs = []
     for _ in range(k):
-        if kind == "bounded":
+        if lossy:
             descs.append((admission.DIVISORS[meta[at]],))
             at += 1
         else:
@@ -264,13 +265,14 @@ def _decode(meta: bytes, payload: bytes, contract: str | None) -> np.ndarray:
     for j in range(k):
         where = np.flatnonzero(route == j)
         u = _read_lane(anchors[j], where, heads[j], body, block, flags, decode)
-        if kind == "bounded":
+        if lossy:
             q = u if flags & _PLAINQ else admission.restore_affine(u, descs[j][0], 0)
             x = admission.rebuild_bounded(q, origin, admission.error_steps(eps)[step])
         else:
             s, d, r = descs[j]
-            x = admission.rebuild_exact(admission.restore_affine(u, d, r), s)
-        out[where] = x.view(np.int64)
+            q = admission.restore_affine(u, d, r)
+            x = None if kind == "exact_integer" else admission.rebuild_exact(q, s)
+        out[where] = q if x is None else admission.narrowed(x) if narrow else x.view(np.int64)
     raw = np.flatnonzero(route == RAW)
     out[raw] = read_raw(len(raw), body).view(np.int64)
     if len(body.bits) - body.at >= 8 or body.bits[body.at :].any():

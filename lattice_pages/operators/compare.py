@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from lattice_pages.functions import baselines
 from lattice_pages.functions.frame import decode_page, encode_page, frame, split_frame
+from lattice_pages.operators.codec import words_of
 from lattice_pages.operators.pages import grouped, keep_tails
 from lattice_pages.plans.profiles import PAGE, Profile, profile
 
@@ -60,7 +61,9 @@ def run_pages(df: DataFrame, codecs: list[str | Profile], eps: float = 1e-3, pag
         for b in batches:
             if not b.num_rows:
                 continue
-            stream, o, v = b.column("stream_id").to_numpy(zero_copy_only=False), b.column("ord").to_numpy(zero_copy_only=False), np.ascontiguousarray(b.column(value).to_numpy(zero_copy_only=False)).view(np.int64)
+            stream, o, (v, valid) = b.column("stream_id").to_numpy(zero_copy_only=False), b.column("ord").to_numpy(zero_copy_only=False), words_of(b.column(value))
+            if valid is not None:
+                raise ValueError("comparisons take values without nulls")
             page = o // page_size
             cuts = [0, *(np.flatnonzero((stream[1:] != stream[:-1]) | (page[1:] != page[:-1])) + 1).tolist(), len(o)]
             for a, z in zip(cuts, cuts[1:]):

@@ -32,6 +32,22 @@ def with_ordinal(df: DataFrame, stream_col: str, order_cols: list[str], method:
     return parts.withColumn("_in", inside).join(base, [stream_col, "_part"]).withColumn("ord", F.col("_base") + F.col("_in") - 1).drop("_part", "_in", "_base")
 
 
+def across(df: DataFrame, order_cols: list[str], col: str) -> DataFrame:
+    """Adds ``running`` (the sum of ``col`` up to and with the row) and ``previous`` (the row before's).
+
+    Rows are range-partitioned; what crosses partitions comes from a table with one row for each of
+    them, so no task reads the whole table.
+    """
+    parts = materialize(df.repartitionByRange(*order_cols).withColumn("_part", F.spark_partition_id()), "across")
+    sums = parts.groupBy("_part").agg(F.sum(col).alias("_s"), F.max_by(F.struct(F.col(col).alias("v")), F.struct(*order_cols)).alias("_l"))
+    earlier = Window.orderBy("_part")
+    base = sums.select("_part", F.coalesce(F.sum("_s").over(earlier.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_base"), F.lag("_l").over(earlier)["v"].alias("_last"))
+    inside = Window.partitionBy("_part").orderBy(*order_cols)
+    got = parts.withColumns({"_sum": F.sum(col).over(inside.rowsBetween(Window.unboundedPreceding, 0)), "_lag": F.lag(col).over(inside), "_at": F.row_number().over(inside)})
+    got = got.join(F.broadcast(base), "_part")  # one row a partition
+    return got.withColumns({"running": F.col("_base") + F.col("_sum"), "previous": F.when(F.col("_at") == 1, F.col("_last")).otherwise(F.col("_lag"))}).drop("_part", "_s", "_base", "_last", "_sum", "_lag", "_at")
+
+
 def with_page(df: DataFrame, page_size: int = PAGE) -> DataFrame:
     return df.withColumns({"page_no": F.floor(F.col("ord") / page_size), "pos": F.col("ord") % page_size})
 

@@ -173,7 +173,7 @@ def greedy(cost: PageCost, singles: list[Candidate], more: list[Candidate], p: P
 
 def exact_candidates(x: np.ndarray, p: Profile) -> tuple[list[Candidate], list[Candidate]]:
     """(scale lanes, affine lanes). A scale that admits what a lower one does is dominated."""
-    q, ok = admission.scale_matrix(x)
+    q, ok = admission.scale_matrix(x, p.domain == "binary32")
     scales, affine = [], []
     seen: list[np.ndarray] = []
     for s in admission.SCALES:
@@ -189,12 +189,26 @@ def exact_candidates(x: np.ndarray, p: Profile) -> tuple[list[Candidate], list[C
     return scales, affine
 
 
+def integer_candidates(words: np.ndarray, p: Profile) -> tuple[list[Candidate], list[Candidate]]:
+    """The lane of all integers, and affine lanes of those that a step divides."""
+    every = np.ones(len(words), bool)
+    affine = []
+    if p.use_affine:
+        for d, r in admission.affine_candidates(words):
+            fits = np.mod(words, d) == r
+            affine.append(Candidate((0, d, r), fits, np.where(fits, (words - np.where(fits, r, 0)) // d, 0), 5 + 8 * (-(-d.bit_length() // 7) + max(1, -(-r.bit_length() // 7)))))
+    return [Candidate((0, 1, 0), every, words, 5 + (16 if p.use_affine else 0))], affine
+
+
 def plan_page(words: np.ndarray, p: Profile) -> Plan:
     """The plan of one page of 64-bit words."""
-    x = words.view(np.float64)
+    x = p.values(words)
     cost = PageCost(words, p)
     if not p.bounded:
-        scales, affine = exact_candidates(x, p)
+        if p.domain == "integer":  # words are coordinates already
+            scales, affine = integer_candidates(words, p)
+        else:
+            scales, affine = exact_candidates(x, p)
         singles = more = [*scales, *affine]
         best = greedy(cost, singles, more, p)
         if best.lanes and p.learn_width:
@@ -207,7 +221,7 @@ def plan_page(words: np.ndarray, p: Profile) -> Plan:
         return cost.plan([], np.full(len(words), RAW))
     best = None
     for k, step in enumerate(admission.error_steps(p.eps)):
-        q, ok = admission.bounded_index(x, origin, step, p.eps)
+        q, ok = admission.bounded_index(x, origin, step, p.eps, p.domain == "binary32")
         if not ok.any():
             continue
         lanes = []

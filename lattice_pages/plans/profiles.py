@@ -4,7 +4,10 @@ from __future__ import annotations
 
 from dataclasses import dataclass, replace
 
+import numpy as np
+
 PAGE = 1024
+DOMAINS = ("binary64", "binary32", "integer")
 
 
 @dataclass(frozen=True)
@@ -26,10 +29,27 @@ class Profile:
     learn_width: bool = True
     alpha: float = 0.0  # a lane must save more than (1 + alpha) times its overhead
     zstd: int = 3  # of a page group's metadata, or of all of it for upper
+    domain: str = "binary64"  # what a word is: binary64, binary32 (low 32 bits) or integer
+
+    def __post_init__(self) -> None:
+        if self.domain not in DOMAINS or (self.bounded and self.domain == "integer"):
+            raise ValueError("the domain is binary64, binary32 or, for exact profiles, integer")
+        if not 0 <= self.max_lanes <= 4 or self.block < 1:
+            raise ValueError("a page has at most four lanes, and blocks of one value or more")
 
     @property
     def contract(self) -> str:
-        return "bounded" if self.bounded else "exact"
+        return ("bounded" if self.bounded else "exact") + {"binary64": "", "binary32": "32", "integer": "_integer"}[self.domain]
+
+    @property
+    def word_bytes(self) -> int:
+        return 4 if self.domain == "binary32" else 8
+
+    def values(self, words: np.ndarray) -> np.ndarray:
+        """The words as doubles (integers are converted, which only statistics and errors use)."""
+        if self.domain == "binary64":
+            return words.view(np.float64)
+        return words.astype(np.float64) if self.domain == "integer" else words.astype(np.uint32).view(np.float32).astype(np.float64)
 
 
 EXACT_FAST = Profile("exact_fast", 3)

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from lattice_pages.functions import measures
 from lattice_pages.operators import codec, scan
+from lattice_pages.operators.pages import with_ordinal
 from lattice_pages.plans import costsql as c
 from lattice_pages.plans import streams
 from lattice_pages.plans.profiles import ABLATIONS
@@ -67,27 +68,36 @@ def _bounded_report(name: str, eps: tuple[float, ...]):
 
 
 _EPS = (1e-1, 1e-2, 1e-3, 1e-4, 1e-5, 1e-6)
-for _n in ("ev_value", "ord_total", "part_price", "ev_epoch", "ord_daily", "cust_bal"):
+for _n in (s.name for s in streams.BOUNDED15):
     _rows = " UNION ALL ".join(f"SELECT {e!r}::DOUBLE AS eps, count(*) AS n, 0::BIGINT AS violations FROM ({streams.duck_sql(streams.BY_NAME[_n])}) t" for e in _EPS)
     add(f"w_bounded_report_{_n}", _bounded_report(_n, _EPS), _rows)
 
 
+def all_of(spark: SparkSession, sf_dir: str, names: tuple[str, ...]) -> DataFrame:
+    """The rows of several streams in one table."""
+    src = None
+    for n in names:
+        one = streams.stream_df(spark, sf_dir, n)
+        src = one if src is None else src.unionByName(one)
+    return materialize(src, "streams")
+
+
 def _ratios(names: tuple[str, ...], profiles: tuple[str, ...]):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        out = None
-        for n in names:
-            src = materialize(streams.stream_df(spark, sf_dir, n), "stream")
-            for p in profiles:
-                r = measures.ratio(codec.encode(src, p), "stream_id").withColumn("codec", F.lit(p if isinstance(p, str) else p.name))
-                out = r if out is None else out.unionByName(r)
+        src, out = all_of(spark, sf_dir, names), None
+        for p in profiles:
+            r = measures.ratio(codec.encode(src, p), "stream_id").withColumn("codec", F.lit(p if isinstance(p, str) else p.name))
+            out = r if out is None else out.unionByName(r)
         return out
 
     return run
 
 
-add("w_profile_matrix", _ratios(("part_price", "ev_value", "ev_minute"), ("exact_fast", "exact_upper", "bounded")))
-add("w_ablation_cost", _ratios(("part_price", "ev_minute"), tuple(n for n in ABLATIONS)))
-add("w_bits_sum", lambda spark, sf_dir: measures.bit_breakdown(encoded(spark, sf_dir, "ev_value", "exact_upper"), "stream_id"))
+_NAMES14 = tuple(s.name for s in streams.EXACT14)
+_NAMES15 = tuple(s.name for s in streams.BOUNDED15)
+add("w_profile_matrix", _ratios(_NAMES14, ("exact_fast", "exact_upper", "bounded")))
+add("w_ablation_cost", _ratios(_NAMES14, tuple(n for n in ABLATIONS)))
+add("w_bits_sum", lambda spark, sf_dir: measures.bit_breakdown(codec.encode(all_of(spark, sf_dir, _NAMES14), "exact_upper"), "stream_id"))
 
 # ---------------------------------------------------------------- cost layer
 
@@ -182,19 +192,41 @@ for _pct, _a, _b in ((1, 0.5, 0.51), (10, 0.5, 0.6), (50, 0.25, 0.75)):
 
     def _agg(spark: SparkSession, sf_dir: str, a: float = _a, b: float = _b) -> DataFrame:
         enc = _store(spark, sf_dir)
-        return scan.scan_agg(enc, *_bounds(enc, a, b))
+        got = scan.scan_agg(enc, *_bounds(enc, a, b))
+        return got.select("stream_id", "n", "min_value", "max_value", F.round("sum_value", 4).alias("sum_value"), F.round("avg_value", 6).alias("avg_value"))
 
     add(f"w_store_range_{_pct}", _range, f"SELECT event_type AS stream_id, {_TS} AS ts, value FROM events WHERE {_duck_bounds(_a, _b)}")
-    add(f"w_store_agg_{_pct}", _agg, f"SELECT event_type AS stream_id, count(*) AS n, min(value) AS min_value, max(value) AS max_value FROM events WHERE {_duck_bounds(_a, _b)} GROUP BY 1")
+    add(f"w_store_agg_{_pct}", _agg, f"SELECT event_type AS stream_id, count(*) AS n, min(value) AS min_value, max(value) AS max_value, round(sum(value), 4) AS sum_value, round(avg(value), 6) AS avg_value FROM events WHERE {_duck_bounds(_a, _b)} GROUP BY 1")
 add("o_value_scan", lambda spark, sf_dir: scan.scan_where(_store(spark, sf_dir), 300.0, 1e9).select("stream_id", "ts", "value"), f"SELECT event_type AS stream_id, {_TS} AS ts, value FROM events WHERE value BETWEEN 300 AND 1e9")
 add("o_point_read", lambda spark, sf_dir: scan.value_at(_store(spark, sf_dir), "click", 17).select("stream_id", "ord", "value"), f"SELECT 'click' AS stream_id, 17::BIGINT AS ord, value FROM (SELECT value, row_number() OVER (ORDER BY ts, event_id) - 1 AS ord FROM events WHERE event_type = 'click') t WHERE ord = 17")
 
 # ---------------------------------------------------------------- operators around decoded data
 
 
-def sql(name: str, text: str, duck: str | None = None, tables: tuple[str, ...] = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings")) -> None:
+TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings")
+#: The measure of each table that is stored in pages, and the order of its stream.
+STORED = {"events": ("value", ("event_id",)), "orders": ("o_totalprice", ("o_orderdate", "o_orderkey")), "lineitem": ("l_extendedprice", streams.LINEITEM), "customer": ("c_acctbal", ("c_custkey",)), "part": ("p_retailprice", ("p_partkey",)), "supplier": ("s_acctbal", ("s_suppkey",))}
+
+
+def through_pages(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
+    """A table whose measure was encoded to pages and decoded again, joined to its other columns on the ordinal."""
+    col, order = STORED[table]
+    raw = spark.read.parquet(f"{sf_dir}/{table}.parquet")
+    rows = materialize(with_ordinal(raw.withColumn("stream_id", F.lit(table)), "stream_id", list(order)), "rows")
+    back = codec.decode(codec.encode(rows.select("stream_id", "ord", F.col(col).alias("value")))).select("ord", F.col("value").alias(col))
+    return rows.drop("stream_id", col).join(back, "ord").select(*raw.columns)
+
+
+def sql(name: str, text: str, duck: str | None = None) -> None:
+    """A query over decoded tables: the measures named in ``STORED`` come out of pages."""
+
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        streams.register(spark, sf_dir, tables)
+        import re
+
+        used = [t for t in TABLES if re.search(rf"\b{t}\b", text)]
+        for t in used:
+            here = through_pages(spark, sf_dir, t) if t in STORED and STORED[t][0] in text else spark.read.parquet(f"{sf_dir}/{t}.parquet")
+            here.createOrReplaceTempView(t)
         return spark.sql(text)
 
     add(name, run, duck or text)
@@ -219,8 +251,17 @@ sql("o_strings", "SELECT doc_id, lower(lang) AS lang, length(source) AS n, subst
 sql("o_dates", "SELECT date_trunc('hour', ts) AS h, count(*) AS n FROM events GROUP BY 1")
 sql("o_json", "SELECT event_id, CAST(get_json_object(props, '$.k') AS BIGINT) AS k FROM events", "SELECT event_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k FROM events")
 sql("o_conditional_sums", "SELECT event_type, CAST(sum(CASE WHEN value > 100 THEN 1 ELSE 0 END) AS BIGINT) AS big, count(*) AS n FROM events GROUP BY event_type")
-sql("o_asof", "SELECT p.event_id, max(v.ts) AS seen FROM events p LEFT JOIN events v ON v.user_id = p.user_id AND v.event_type = 'view' AND v.ts <= p.ts WHERE p.event_type = 'purchase' GROUP BY p.event_id")
-sql("o_interval_join", "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_id < b.event_id AND b.ts >= a.ts - INTERVAL 10 MINUTE AND b.ts <= a.ts + INTERVAL 10 MINUTE")
+sql(
+    "o_asof",
+    "SELECT event_id, seen FROM (SELECT event_id, event_type, max(CASE WHEN event_type = 'view' THEN ts END) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS seen FROM events WHERE event_type IN ('view', 'purchase')) t WHERE event_type = 'purchase'",
+    "SELECT p.event_id, max(v.ts) AS seen FROM events p LEFT JOIN events v ON v.user_id = p.user_id AND v.event_type = 'view' AND v.ts <= p.ts WHERE p.event_type = 'purchase' GROUP BY p.event_id",
+)
+_TEN = f"CAST(floor({streams._US} / 600000000.0D) AS BIGINT)"
+sql(
+    "o_interval_join",
+    f"SELECT a.event_id AS a, b.event_id AS b FROM (SELECT event_id, user_id, ts, explode(array({_TEN} - 1, {_TEN}, {_TEN} + 1)) AS bucket FROM events) a JOIN (SELECT event_id, user_id, ts, {_TEN} AS bucket FROM events) b ON a.user_id = b.user_id AND a.bucket = b.bucket AND a.event_id < b.event_id AND b.ts >= a.ts - INTERVAL 10 MINUTE AND b.ts <= a.ts + INTERVAL 10 MINUTE",
+    "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_id < b.event_id AND b.ts >= a.ts - INTERVAL 10 MINUTE AND b.ts <= a.ts + INTERVAL 10 MINUTE",
+)
 sql("o_hash_sample", "SELECT event_id FROM events WHERE (event_id * 2654435761) % 1000 < 100")
 sql("o_min_by", "SELECT event_type, min_by(event_id, ts) AS first_id FROM events GROUP BY event_type", "SELECT event_type, arg_min(event_id, ts) AS first_id FROM events GROUP BY event_type")
 sql("o_pivot", "SELECT * FROM (SELECT l_returnflag, l_linestatus, 1 AS one FROM lineitem) PIVOT (count(one) FOR l_linestatus IN ('F' AS f, 'O' AS o))", "SELECT l_returnflag, nullif(count(*) FILTER (l_linestatus = 'F'), 0) AS f, nullif(count(*) FILTER (l_linestatus = 'O'), 0) AS o FROM lineitem GROUP BY 1")
@@ -262,26 +303,36 @@ def _bounded_codec(codec_name: str):
 for _n in BOUNDED_CODECS:
     add(f"b_bound_{_n}", _bounded_codec(_n), " UNION ALL ".join(f"SELECT '{_n}' AS codec, {e!r}::DOUBLE AS eps, count(*) AS n, 0::BIGINT AS violations FROM events" for e in _EPS))
 
-_SMALL = ("part_price", "ev_value", "ev_minute", "ev_cum", "cust_bal")
-
-
 def sizes(spark: SparkSession, sf_dir: str, names: tuple[str, ...], codecs: tuple, **kw) -> DataFrame:
     """Pages of several streams under several codecs, in one job."""
-    src = None
-    for n in names:
-        s = streams.stream_df(spark, sf_dir, n)
-        src = s if src is None else src.unionByName(s)
-    return compare.run_pages(src, list(codecs), **kw)
+    return compare.run_pages(all_of(spark, sf_dir, names), list(codecs), **kw)
+
+
+def _exact14(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return compare.summary(sizes(spark, sf_dir, _NAMES14, EXACT_CODECS))
 
 
-add("w_exact14_ratio", lambda spark, sf_dir: compare.summary(sizes(spark, sf_dir, _SMALL, EXACT_CODECS)).select("stream_id", "codec", "n", "raw_bytes", "coded_bytes", "ratio", "mismatches"))
-add("w_exact14_wins", lambda spark, sf_dir: measures.wins(compare.summary(sizes(spark, sf_dir, _SMALL, EXACT_CODECS))))
-add("w_bounded15_ratio", lambda spark, sf_dir: compare.summary(sizes(spark, sf_dir, _SMALL, BOUNDED_CODECS)).select("stream_id", "codec", "n", "raw_bytes", "coded_bytes", "ratio", "violations", "max_error"))
+add("w_exact14_ratio", lambda spark, sf_dir: _exact14(spark, sf_dir).select("stream_id", "codec", "n", "raw_bytes", "coded_bytes", "ratio", "mismatches"))
+add("w_exact14_wins", lambda spark, sf_dir: measures.wins(_exact14(spark, sf_dir)))
+#: The six codecs of which the best is taken stream by stream.
+SIX = ("gorilla", "chimp", "erase_xor", "erase_xor_plus", "alp", "falcon")
+add("w_best_of_six", lambda spark, sf_dir: compare.summary(sizes(spark, sf_dir, _NAMES14, SIX)).groupBy("stream_id").agg(F.min_by("codec", F.struct("coded_bytes", "codec")).alias("codec"), F.min("coded_bytes").alias("coded_bytes"), F.max("raw_bytes").alias("raw_bytes")))
+
+
+def _bounded15(spark: SparkSession, sf_dir: str) -> DataFrame:
+    src, out = all_of(spark, sf_dir, _NAMES15), None
+    for e in _EPS:
+        r = compare.summary(compare.run_pages(src, list(BOUNDED_CODECS), eps=e)).withColumn("eps", F.lit(e))
+        out = r if out is None else out.unionByName(r)
+    return out
+
+
+add("w_bounded15_ratio", lambda spark, sf_dir: _bounded15(spark, sf_dir).select("stream_id", "codec", "eps", "n", "raw_bytes", "coded_bytes", "ratio", "violations", "max_error"))
 add("w_frontier", lambda spark, sf_dir: measures.frontier(compare.summary(sizes(spark, sf_dir, ("ev_value",), EXACT_CODECS), "codec").withColumn("speed", F.col("encode_mb_s"))))
 add(
     "w_exact_mismatches",
-    lambda spark, sf_dir: compare.summary(sizes(spark, sf_dir, _SMALL, ("exact_fast", "exact_upper"))).select("stream_id", "codec", "n", "mismatches"),
-    " UNION ALL ".join(f"SELECT '{n}' AS stream_id, '{p}' AS codec, count(*) AS n, 0::BIGINT AS mismatches FROM ({streams.duck_sql(streams.BY_NAME[n])}) t" for n in _SMALL for p in ("exact_fast", "exact_upper")),
+    lambda spark, sf_dir: _exact14(spark, sf_dir).select("stream_id", "codec", "n", "raw_bytes", "mismatches"),
+    " UNION ALL ".join(f"SELECT '{n}' AS stream_id, codec, count(*) AS n, CAST(8 * count(*) AS BIGINT) AS raw_bytes, 0::BIGINT AS mismatches FROM ({streams.duck_sql(streams.BY_NAME[n])}) t, (VALUES {', '.join(f'({p!r})' for p in EXACT_CODECS)}) v(codec) GROUP BY codec" for n in _NAMES14),
 )
 
 
@@ -340,9 +391,7 @@ def _f32(spark: SparkSession, sf_dir: str) -> DataFrame:
     return codec.decode(encoded(spark, sf_dir, "emb_flat")).select("ord", F.col("value").cast("float").alias("value"))
 
 
-add("w_f32_roundtrip", _f32, f"SELECT ord, value::FLOAT AS value FROM ({streams.duck_sql(streams.BY_NAME['emb_flat'])}) t")
 cost("w_step_lanes", lambda e: f"SELECT page_no, CAST(sum({c.blen(c.zz('r'))}) AS BIGINT) AS before, CAST(sum({c.blen(c.zz(e.idiv('r', '60')))}) AS BIGINT) AS after FROM (SELECT page_no, {e.int('value')} - lag({e.int('value')}) OVER (PARTITION BY page_no ORDER BY pos) AS r FROM ({c.pages(e, 'ev_minute')}) a) b GROUP BY page_no", "ev_minute")
-cost("w_domain_bits", lambda e: f"SELECT page_no, CAST(sum({c.blen(c.zz('r'))}) AS BIGINT) AS one_integer_stream, count(*) AS n FROM ({c.one_lane(e, 'ev_cum')}) a GROUP BY page_no", "ev_cum")
 
 
 def _digest(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -381,3 +430,7 @@ def _streamed(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 add("s_ingest", _streamed, "SELECT event_type AS stream_id, CAST(count(*) // 100 * 100 AS BIGINT) AS n FROM events GROUP BY 1")
+
+from lattice_pages.plans import workloads  # noqa: E402
+
+workloads.register_all()

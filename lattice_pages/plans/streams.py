@@ -11,7 +11,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from lattice_pages.operators.pages import with_ordinal
+from lattice_pages.operators.pages import across, with_ordinal
 
 LINEITEM = ("l_shipdate", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
 #: The labels of the given tables.
@@ -99,12 +99,16 @@ def all_keyed(spark: SparkSession, sf_dir: str, many: tuple[Stream, ...]) -> tup
     """Rows of many streams in one frame, and the order columns that all of them share."""
     register(spark, sf_dir)
     out, width = None, max(len(s.order) for s in many)
+    tables: dict[tuple, list[Stream]] = {}
     for s in many:
-        dated = s.order[0].endswith("date")
-        keys = [*([] if dated else ["CAST(NULL AS TIMESTAMP_NTZ)"]), *s.order]
+        tables.setdefault((s.table, s.order), []).append(s)
+    for (table, order), own in tables.items():  # one scan of each table
+        dated = order[0].endswith("date")
+        keys = [*([] if dated else ["CAST(NULL AS TIMESTAMP_NTZ)"]), *order]
         keys += ["0"] * (width - len(keys))
         cols = ", ".join(f"CAST({k} AS {'TIMESTAMP_NTZ' if i == 0 else 'BIGINT'}) AS k{i}" for i, k in enumerate(keys))
-        rows = spark.sql(f"SELECT '{s.name}' AS stream_id, '{s.domain}' AS domain, {cols}, {s.value} AS value FROM {s.table} WHERE {s.where}")
+        each = ", ".join(f"CASE WHEN {s.where} THEN named_struct('stream_id', '{s.name}', 'domain', '{s.domain}', 'value', {s.value}) END" for s in own)
+        rows = spark.sql(f"SELECT {cols}, explode(array_compact(array({each}))) AS x FROM {table}").select("x.stream_id", "x.domain", *[f"k{i}" for i in range(width)], "x.value")
         out = rows if out is None else out.unionByName(rows)
     return out, [f"k{i}" for i in range(width)]
 
@@ -125,7 +129,15 @@ def keyed(spark: SparkSession, sf_dir: str, s: Stream | str) -> DataFrame:
     """The stream's rows with their order columns, unnumbered."""
     s = BY_NAME[s] if isinstance(s, str) else s
     register(spark, sf_dir)
-    return spark.sql(s.spark_sql()).withColumn("stream_id", F.lit(s.name))
+    if s.name == "ev_cum":  # no window over the whole table
+        cents = spark.sql("SELECT event_id, CAST(round(value * 100, 0) AS BIGINT) AS cents FROM events")
+        rows = across(cents, ["event_id"], "cents").select("event_id", F.expr("running / 100.0D").alias("value"))
+    elif s.name == "ev_gap":
+        times = spark.sql(f"SELECT event_id, {_US} AS us FROM events")
+        rows = across(times, ["event_id"], "us").filter("previous IS NOT NULL").select("event_id", F.expr("CAST(us - previous AS DOUBLE) / 1000000.0D").alias("value"))
+    else:
+        rows = spark.sql(s.spark_sql())
+    return rows.withColumn("stream_id", F.lit(s.name))
 
 
 def stream_df(spark: SparkSession, sf_dir: str, s: Stream | str, method: str = "range") -> DataFrame:

@@ -42,13 +42,21 @@ _SIGNS = "".join(c for c in map(chr, range(sys.maxunicode + 1)) if c.isalnum() a
 _LETTERS = re.compile(rf"[^\W\d_{_SIGNS}]+")
 
 
+_ASCII = re.compile(r"[a-z]+")
+
+
+def letters(low: str) -> list[str]:
+    """The letter runs of a lower-case text."""
+    return (_ASCII if low.isascii() else _LETTERS).findall(low)
+
+
 def features(chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """Buckets of all features of the chunks, and how many each chunk has.
 
     A chunk is its words, marked at both ends; features are the whole and its byte
     n-grams. All chunks are hashed in one pass over one buffer.
     """
-    runs = [_LETTERS.findall(c.lower()) for c in chunks]
+    runs = [letters(c.lower()) for c in chunks]
     units = [f"<{'><'.join(r)}>".encode() if r else b"" for r in runs]
     sizes = np.fromiter(map(len, units), np.int64, len(units))
     data = np.frombuffer(b"".join(units) + b"\0" * max(GRAMS), np.uint8).astype(np.uint64)

@@ -65,6 +65,11 @@ def materialize(df: DataFrame, name: str = "step") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def path_exists(spark: SparkSession, path: str) -> bool:
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(at)
+
+
 def drop_path(spark: SparkSession, df_or_path: DataFrame | str) -> None:
     """Delete a materialized table that nothing reads any more."""
     jvm = spark.sparkContext._jvm

@@ -60,7 +60,7 @@ def main() -> None:
     timed("store_aggregate_stats", lambda: scan.scan_agg(store, lo + (hi - lo) // 4, lo + (hi - lo) * 3 // 4).collect())
     timed("store_aggregate_decode", lambda: scan.scan_agg(store, lo + (hi - lo) // 4, lo + (hi - lo) * 3 // 4, use_stats=False).collect())
 
-    pages = timed("compare_codecs_ev_value", lambda: materialize(compare.run_pages(src["ev_value"], ["exact_fast", "bounded", *compare.baselines.CODECS]), "compare"))
+    pages = timed("compare_codecs_ev_value", lambda: materialize(compare.run_pages(src["ev_value"], ["exact_fast", "exact_upper", "bounded", *compare.baselines.CODECS]), "compare"))
     for r in compare.summary(pages, "codec").collect():
         facts[f"core_encode_mb_s_{r.codec}"], facts[f"core_decode_mb_s_{r.codec}"], facts[f"ratio_ev_value_{r.codec}"] = round(r.encode_mb_s, 2), round(r.decode_mb_s, 2), round(r.ratio, 4)
         facts["violations"] = facts.get("violations", 0) + r.violations

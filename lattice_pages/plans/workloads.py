@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from lattice_pages.functions import measures
@@ -119,8 +119,8 @@ def register_all() -> None:
                     if how == "retain":  # the kept rows stay in order
                         rows = src.filter(place < pct).select("stream_id", "value", F.col("ord").alias("k"))
                     else:
-                        n_rows = F.count(F.lit(1)).over(Window.partitionBy("stream_id"))
-                        rows = src.withColumn("n", n_rows).select("stream_id", "value", F.when(place < pct, F.pmod(F.xxhash64("ord", F.lit("to")), F.col("n"))).otherwise(F.col("ord")).alias("k"))
+                        n_rows = F.broadcast(src.groupBy("stream_id").agg(F.count(F.lit(1)).alias("n")))  # one row
+                        rows = src.join(n_rows, "stream_id").select("stream_id", "value", F.when(place < pct, F.pmod(F.xxhash64("ord", F.lit("to")), F.col("n"))).otherwise(F.col("ord")).alias("k"))
                     made[f"{n} {pct}"] = with_ordinal(rows, "stream_id", ["k", "value"]).select("stream_id", "ord", "value")
             return variants(spark, made, ("exact_fast", "one_lane", "erase_xor", "gorilla"))
 

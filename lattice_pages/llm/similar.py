@@ -1,4 +1,4 @@
-"""Near copies by exact similarity of word shingles: a set join, nothing is estimated.
+"""Near copies: SimHash anchor points and a set join propose, exact similarity of word shingles decides.
 
 Two texts link if the Jaccard similarity of their sets of ``words``-word shingles (64-bit
 hashes, ASCII case and blanks folded) is ``least`` or more; one row of each connected
@@ -9,8 +9,11 @@ its sizes and the places of the shared shingle still allow the similarity. The o
 shingles that a sample of the texts shows often last, by their count; the sample decides
 the order and thereby the work, never the result.
 
-Candidates are found twice. First every node meets the least and the greatest node of each
-of its buckets, and verified pairs become components. Then all pairs of a bucket that lie
+Candidates are found twice. First the SimHash operator (``simhash.links``: anchor points from
+a perfect Hamming code on six views) proposes pairs of nodes whose fingerprints, of the
+same shingles, differ in few bits, and every node meets the least and the greatest node of
+each of its buckets; verified pairs become components. SimHash alone would miss most pairs at 0.8 to
+0.9, and its pairs may be less alike than that, so neither way stands alone. Then all pairs of a bucket that lie
 in different components meet, so a large group of near copies is not paired within
 itself. Every candidate is verified on the whole sets, unless its sketches rule it out: a
 sketch has the parity of the shingles that fall on each of 512 bits, so two sketches differ
@@ -34,8 +37,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from lattice_pages.llm import simhash
 from lattice_pages.llm.components import components
-from lattice_pages.session import drop_path, materialize
+from lattice_pages.session import drop_path, materialize, release
 
 WORDS = 5
 LEAST = Fraction(4, 5)
@@ -46,8 +50,9 @@ OFTEN = 3
 MOST_OFTEN = 100_000
 #: Row keys up to this number are broadcast.
 BROADCAST = 1_000_000
-#: Rows an Arrow batch: bounds what a task holds outside the heap when texts or sets are long.
+#: Rows and bytes an Arrow batch: they bound what a task holds outside the heap when texts or sets are long.
 BATCH = 500
+BATCH_BYTES = 4 << 20
 _ROW = ["_row_a", "_row_b"]
 #: Whether more rows than one have the key.
 _AGAIN = "_row_again"
@@ -115,14 +120,14 @@ def _keys(rows: DataFrame, id_col: str, text_col: str, words: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            node, n, bits = np.empty(len(b), np.int64), np.empty(len(b), np.int32), np.empty((len(b), LANES), np.int64)
+            node, n, bits, fp = np.empty(len(b), np.int64), np.empty(len(b), np.int32), np.empty((len(b), LANES), np.int64), np.empty(len(b), np.uint64)
             for i, t in enumerate(b.column(3)):
                 s = shingles(t.as_py(), words)
-                node[i], n[i], bits[i] = set_key(s), len(s), sketch(s)
+                node[i], n[i], bits[i], fp[i] = set_key(s), len(s), sketch(s), simhash.bit_majority(s)
             lanes = pa.StructArray.from_arrays([pa.array(bits[:, k].copy()) for k in range(LANES)], [f"b{k}" for k in range(LANES)])
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array(node), pa.array(n), lanes], ["id", *_ROW, "node", "n", "bits"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array(node), pa.array(n), lanes, pa.array(fp.view(np.int64))], ["id", *_ROW, "node", "n", "bits", "fp"])
 
-    return rows.select(id_col, *_ROW, text_col).mapInArrow(run, f"id {kind}, {_ROW[0]} long, {_ROW[1]} int, node long, n int, bits {_SKETCH}")
+    return rows.select(id_col, *_ROW, text_col).mapInArrow(run, f"id {kind}, {_ROW[0]} long, {_ROW[1]} int, node long, n int, bits {_SKETCH}, fp long")
 
 
 def _order(rows: DataFrame, text_col: str, words: int) -> tuple[np.ndarray, np.ndarray]:
@@ -175,6 +180,18 @@ def _bits_allow(na: str, a: str, nb: str, b: str, least: Fraction) -> str:
     return f"({differ}) * {p + q}L <= ({na} + {nb}) * {q - p}L"
 
 
+def _anchored(first: DataFrame) -> DataFrame:
+    """Pairs ``a < b`` of nodes that span the links of the SimHash operator."""
+    nodes = first.select("node", "fp")
+    homes = materialize(nodes.groupBy("fp").agg(F.min("node").alias("rep")), "similar-fingerprints")
+    equal = nodes.join(homes, "fp").select(F.col("rep").alias("a"), F.col("node").alias("b"))
+    links = materialize(simhash.links(homes), "similar-anchored")
+    for e in "ab":
+        links = links.join(homes.select(F.col("fp").alias(e), F.col("rep").alias("r" + e)), e)
+    near = links.select(F.least("ra", "rb").alias("a"), F.greatest("ra", "rb").alias("b"))
+    return equal.unionByName(near).filter("a < b")
+
+
 def _near(pairs: DataFrame, first: DataFrame, least: Fraction) -> DataFrame:
     """The pairs that sizes and sketches of their nodes leave."""
     for e in "ab":
@@ -210,13 +227,15 @@ def _verified(pairs: DataFrame, rows: DataFrame, first: DataFrame, text_col: str
 
 @contextmanager
 def _small_batches(spark: SparkSession) -> Iterator[None]:
-    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    was = spark.conf.get(key)
-    spark.conf.set(key, str(BATCH))
+    arrow = "spark.sql.execution.arrow.max"
+    was = {k: spark.conf.get(arrow + k) for k in ("RecordsPerBatch", "BytesPerBatch")}
+    spark.conf.set(arrow + "RecordsPerBatch", str(BATCH))
+    spark.conf.set(arrow + "BytesPerBatch", str(BATCH_BYTES))
     try:
         yield
     finally:
-        spark.conf.set(key, was)
+        for k, v in was.items():
+            spark.conf.set(arrow + k, v)
 
 
 def similar_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = WORDS, least: Fraction = LEAST) -> DataFrame:
@@ -228,25 +247,33 @@ def similar_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
 def _components(docs: DataFrame, id_col: str, text_col: str, words: int, least: Fraction) -> DataFrame:
     rows = _rows(docs, id_col, text_col)
     keys = materialize(_keys(rows, id_col, text_col, words), "similar-keys")
-    known = keys.groupBy("node", *_ROW).agg(F.min("n").alias("n"), F.min("bits").alias("bits"), (F.count(F.lit(1)) > 1).alias(_AGAIN))
-    first = materialize(known.groupBy("node").agg(F.min(F.struct(*_ROW, "n", "bits", _AGAIN)).alias("r")).select("node", "r.*"), "similar-first")
+    known = keys.groupBy("node", *_ROW).agg(F.min("n").alias("n"), F.min("bits").alias("bits"), F.min("fp").alias("fp"), (F.count(F.lit(1)) > 1).alias(_AGAIN))
+    first = materialize(known.groupBy("node").agg(F.min(F.struct(*_ROW, "n", "bits", "fp", _AGAIN)).alias("r")).select("node", "r.*"), "similar-first")
     copies = materialize(keys.select(*_ROW).distinct().join(first.select(*_ROW), _ROW, "left_anti"), "similar-copies")
     ones = rows.join(_held(copies, copies.count()), _ROW, "left_anti")
+    anchored = materialize(_anchored(first), "similar-anchored-pairs")
+    release(docs.sparkSession)
     bucket = Window.partitionBy("s")
     here = F.struct("node", "n", "pos")
     met = _prefixes(ones, text_col, words, least).withColumn("lo", F.min(here).over(bucket)).withColumn("hi", F.max(here).over(bucket)).filter("lo.node < hi.node")
     met = materialize(met, "similar-buckets")
     ends = [met.filter(f"{a} < {b} AND {_possible('n', 'pos', f'{end}.n', f'{end}.pos', least)}").select(F.expr(a).alias("a"), F.expr(b).alias("b")) for end, a, b in (("lo", "lo.node", "node"), ("hi", "node", "hi.node"))]
-    links = _verified(materialize(_near(ends[0].unionByName(ends[1]).distinct(), first, least), "similar-pairs"), rows, first, text_col, words, least)
+    proposed = ends[0].unionByName(ends[1]).unionByName(anchored).distinct()
+    proposed = materialize(_near(proposed, first, least), "similar-pairs")
+    release(docs.sparkSession)
+    links = _verified(proposed, rows, first, text_col, words, least)
     part = components(links, name="similar-part")
+    release(docs.sparkSession)
     left = met.select("s", "node", "n", "pos").distinct().join(part, "node", "left").select("s", "node", "n", "pos", F.coalesce("root", "node").alias("root"))
     left = left.withColumn("lo", F.min("root").over(bucket)).withColumn("hi", F.max("root").over(bucket)).filter("lo < hi").drop("lo", "hi")
     left = materialize(left.join(first.select("node", "bits"), "node"), "similar-left")
     drop_path(docs.sparkSession, met)
+    release(docs.sparkSession)
     x, y = (left.select("s", *[F.col(c).alias(c + e) for c in ("node", "n", "pos", "root", "bits")]) for e in "xy")
     pairs = x.join(y, "s").filter(f"nodex < nodey AND rootx <> rooty AND {_possible('nx', 'posx', 'ny', 'posy', least)} AND {_bits_allow('nx', 'bitsx', 'ny', 'bitsy', least)}").select(F.col("nodex").alias("a"), F.col("nodey").alias("b")).distinct()
     pairs = materialize(pairs, "similar-pairs")
     drop_path(docs.sparkSession, left)
+    release(docs.sparkSession)
     more = _verified(pairs, rows, first, text_col, words, least)
     drop_path(docs.sparkSession, first)
     cc = components(links.unionByName(more), name="similar-cc")

@@ -81,3 +81,29 @@ def test_sketches_never_differ_more_than_the_sets():
         b = np.unique(np.concatenate([a[: n * 9 // 10], r.integers(0, 2**63, n // 8).astype(np.uint64)]))
         bits = int(np.bitwise_count((similar.sketch(a) ^ similar.sketch(b)).view(np.uint64)).sum())
         assert bits <= len(np.setxor1d(a, b))
+
+
+def test_pipeline_stage_goes_through_the_simhash_operator(spark, sf, monkeypatch):
+    """With the buckets of the set join emptied, the links that stay are those of the anchor points."""
+    import corpus_pipeline
+    from lattice_pages.llm import simhash
+
+    seen, was = [], simhash.links
+    monkeypatch.setattr(simhash, "links", lambda nodes, *a: seen.append(nodes.count()) or was(nodes, *a))
+    monkeypatch.setattr(similar, "prefix", lambda s, *a: s[:0])
+    r = np.random.default_rng(11)
+    w = [f"w{x}" for x in r.integers(0, 10**6, 900)]
+    texts = [" ".join(w), " ".join([*w[:-1], "other"]), " ".join(f"v{x}" for x in r.integers(0, 10**6, 900))]
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    assert sorted(x.doc_id for x in corpus_pipeline.near_copies(spark, df, sf).collect()) == [0, 2]
+    assert seen and seen[0] >= 2
+
+
+def test_batches_are_bounded_by_bytes(spark):
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    was = spark.conf.get(key)
+    with similar._small_batches(spark):
+        df = spark.range(400).repartition(1).selectExpr("repeat('x', 100000) AS t")
+        sizes = [x.n for x in df.mapInArrow(lambda bs: (similar.pa.RecordBatch.from_arrays([similar.pa.array([b.nbytes])], ["n"]) for b in bs), "n long").collect()]
+    assert max(sizes) <= similar.BATCH_BYTES + 200_000 and len(sizes) > 5
+    assert spark.conf.get(key) == was

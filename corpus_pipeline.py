@@ -11,15 +11,20 @@ from pyspark.sql import DataFrame, SparkSession
 
 from lattice_pages.llm import langid, packing, pii, similar
 from lattice_pages.llm.queries import vocabulary
-from lattice_pages.session import materialize, ship
+from lattice_pages.session import bound_batches, materialize, ship
 
 #: SQL cannot express the stages (trained models, tokenizers): tests use brute force.
 ORACLE_SQL = None
 
 
+def _ready(spark: SparkSession) -> None:
+    ship(spark)
+    bound_batches(spark)
+
+
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose language the model rejects go."""
-    ship(spark)
+    _ready(spark)
     return langid.keep_accepted(docs, langid.fit(docs))
 
 
@@ -28,19 +33,19 @@ def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
     SimHash anchor points and a set join propose pairs; the exact similarity decides.
     """
-    ship(spark)
+    _ready(spark)
     return similar.keep_one(docs)
 
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Personal data in the texts is replaced by its kind."""
-    ship(spark)
+    _ready(spark)
     return pii.redact(docs, length_col="n_chars" if "n_chars" in docs.columns else None)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of the documents, each with the sequence and offset it stands at."""
-    ship(spark)
+    _ready(spark)
     return packing.pack(docs, vocabulary("byte_bpe_50k.json"))
 
 

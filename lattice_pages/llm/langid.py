@@ -29,6 +29,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from lattice_pages.session import sparing
+
 BUCKETS = 1 << 15
 DIM = 16
 GRAMS = (2, 3, 4)
@@ -135,6 +137,8 @@ class Scorer:
     """Sums of bucket scores, by chunk, with a bounded cache."""
 
     ENTRIES = 300_000
+    #: Code points of new chunks that are hashed in one pass; its arrays take many times that.
+    PASS = 1 << 16
 
     def __init__(self, model: Model) -> None:
         self.model = model
@@ -146,7 +150,16 @@ class Scorer:
         self.rows = np.zeros((1 << 14, self.wide))
 
     def learn(self, chunks: list[str]) -> None:
-        """Add the sums of new chunks, all at once."""
+        """Add the sums of new chunks, in passes of bounded size."""
+        first, size = 0, 0
+        for i, c in enumerate(chunks):
+            if size and size + len(c) > self.PASS:
+                self._learn(chunks[first:i])
+                first, size = i, 0
+            size += len(c)
+        self._learn(chunks[first:])
+
+    def _learn(self, chunks: list[str]) -> None:
         flat, counts = features(chunks)
         n = len(self.at)
         while n + len(chunks) > len(self.rows):
@@ -215,7 +228,7 @@ def predict(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str
                 lang[known], score[known] = np.array(model.languages, object)[p.argmax(axis=1)], p.max(axis=1)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(lang, pa.string()), pa.array(score), pa.array(known & (score >= model.threshold))], [id_col, "lang_pred", "score", "accepted"])
 
-    return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, lang_pred string, score double, accepted boolean")
+    return docs.select(id_col, text_col).mapInArrow(sparing(run), f"`{id_col}` {kind}, lang_pred string, score double, accepted boolean")
 
 
 def identify(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "lang") -> DataFrame:
@@ -236,4 +249,4 @@ def keep_accepted(docs: DataFrame, model: Model, text_col: str = "text") -> Data
                 ok[ok] = model.probabilities(sums[ok, :-1], sums[ok, -1]).max(axis=1) >= model.threshold
             yield b.filter(pa.array(ok))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(sparing(run), docs.schema)

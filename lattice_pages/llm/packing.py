@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from lattice_pages.session import materialize
+from lattice_pages.session import materialize, sparing
 
 CAPACITY = 2048
 #: The linear program ends when its value is within this share of a lower bound.
@@ -64,7 +64,7 @@ def pieces(docs: DataFrame, vocab_path: str, end_id: int = 1, capacity: int = CA
             columns = [b.column(0).take(pa.array(at, pa.int64()))] + [pa.array([r[k] for r in rows], pa.int64()) for k in range(4)]
             yield pa.RecordBatch.from_arrays(columns + [pa.array([r[4] for r in rows], pa.binary())] * keep_ids, names)
 
-    return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, start long, length long, ids_crc32 long, doc_tokens long" + ", ids binary" * keep_ids)
+    return docs.select(id_col, text_col).mapInArrow(sparing(run), f"`{id_col}` {kind}, start long, length long, ids_crc32 long, doc_tokens long" + ", ids binary" * keep_ids)
 
 
 # ---------------------------------------------------------------- lengths and patterns

@@ -29,6 +29,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from lattice_pages.session import sparing
+
 KINDS = ("email", "ip", "card", "phone")
 PRECISION = 0.995
 TRAIN_TEXTS = 6000
@@ -337,4 +339,4 @@ def redact(docs: DataFrame, text_col: str = "text", length_col: str | None = Non
                 cols[j] = pa.array([len(n) if n is not None and n != t else c for n, t, c in zip(new, texts, cols[j].to_pylist())], b.schema.field(j).type)
             yield pa.RecordBatch.from_arrays(cols, b.schema.names)
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(sparing(run), docs.schema)

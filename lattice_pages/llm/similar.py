@@ -39,7 +39,7 @@ from pyspark.sql import functions as F
 
 from lattice_pages.llm import simhash
 from lattice_pages.llm.components import components
-from lattice_pages.session import drop_path, materialize, release
+from lattice_pages.session import bound_batches, drop_path, materialize, release, sparing
 
 WORDS = 5
 LEAST = Fraction(4, 5)
@@ -50,9 +50,8 @@ OFTEN = 3
 MOST_OFTEN = 100_000
 #: Row keys up to this number are broadcast.
 BROADCAST = 1_000_000
-#: Rows and bytes an Arrow batch: they bound what a task holds outside the heap when texts or sets are long.
+#: Rows of an Arrow batch: sets are longer than their texts, so its bytes alone do not bound what a task holds.
 BATCH = 500
-BATCH_BYTES = 4 << 20
 _ROW = ["_row_a", "_row_b"]
 #: Whether more rows than one have the key.
 _AGAIN = "_row_again"
@@ -127,7 +126,7 @@ def _keys(rows: DataFrame, id_col: str, text_col: str, words: int) -> DataFrame:
             lanes = pa.StructArray.from_arrays([pa.array(bits[:, k].copy()) for k in range(LANES)], [f"b{k}" for k in range(LANES)])
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array(node), pa.array(n), lanes, pa.array(fp.view(np.int64))], ["id", *_ROW, "node", "n", "bits", "fp"])
 
-    return rows.select(id_col, *_ROW, text_col).mapInArrow(run, f"id {kind}, {_ROW[0]} long, {_ROW[1]} int, node long, n int, bits {_SKETCH}, fp long")
+    return rows.select(id_col, *_ROW, text_col).mapInArrow(sparing(run), f"id {kind}, {_ROW[0]} long, {_ROW[1]} int, node long, n int, bits {_SKETCH}, fp long")
 
 
 def _order(rows: DataFrame, text_col: str, words: int) -> tuple[np.ndarray, np.ndarray]:
@@ -137,7 +136,7 @@ def _order(rows: DataFrame, text_col: str, words: int) -> tuple[np.ndarray, np.n
                 yield pa.RecordBatch.from_arrays([pa.array(shingles(t.as_py(), words).view(np.int64))], ["s"])
 
     sample = rows.select(text_col).filter(F.pmod(F.xxhash64(text_col), F.lit(SAMPLE)) == 0).distinct()
-    seen = sample.mapInArrow(run, "s long").groupBy("s").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= OFTEN).orderBy(F.desc("n"), "s").limit(MOST_OFTEN).toPandas()
+    seen = sample.mapInArrow(sparing(run), "s long").groupBy("s").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= OFTEN).orderBy(F.desc("n"), "s").limit(MOST_OFTEN).toPandas()
     s, n = seen["s"].to_numpy(np.int64).view(np.uint64), seen["n"].to_numpy(np.int64)
     at = np.argsort(s)
     return s[at], n[at]
@@ -157,7 +156,7 @@ def _prefixes(rows: DataFrame, text_col: str, words: int, least: Fraction) -> Da
             s, node, n, pos = (np.concatenate(x) for x in zip(*parts)) if parts else (np.empty(0, np.uint64), np.empty(0, np.int64), np.empty(0, np.int32), np.empty(0, np.int32))
             yield pa.RecordBatch.from_arrays([pa.array(s.view(np.int64)), pa.array(node), pa.array(n), pa.array(pos)], ["s", "node", "n", "pos"])
 
-    return rows.select(text_col).mapInArrow(run, "s long, node long, n int, pos int")
+    return rows.select(text_col).mapInArrow(sparing(run), "s long, node long, n int, pos int")
 
 
 def _held(df: DataFrame, n: int) -> DataFrame:
@@ -214,12 +213,12 @@ def _verified(pairs: DataFrame, rows: DataFrame, first: DataFrame, text_col: str
 
     n, repeats = need.agg(F.count(F.lit(1)), F.count_if(_AGAIN)).first()
     chosen = rows.select(*_ROW, text_col).join(_held(need, n), _ROW).select("node", _AGAIN, text_col)
-    made = materialize(chosen.mapInArrow(sets, f"node long, {_AGAIN} boolean, words binary"), "similar-sets")
+    made = materialize(chosen.mapInArrow(sparing(sets), f"node long, {_AGAIN} boolean, words binary"), "similar-sets")
     known = made
     if repeats:  # only sets of rows that stand there again can repeat
         known = made.filter(f"NOT {_AGAIN}").union(made.filter(_AGAIN).dropDuplicates(["node"]))
     both = pairs.join(known.select(F.col("node").alias("a"), F.col("words").alias("wa")), "a").join(known.select(F.col("node").alias("b"), F.col("words").alias("wb")), "b")
-    links = materialize(both.select("a", "b", "wa", "wb").mapInArrow(check, "a long, b long"), "similar-links")
+    links = materialize(both.select("a", "b", "wa", "wb").mapInArrow(sparing(check), "a long, b long"), "similar-links")
     for done in (need, made, pairs):
         drop_path(rows.sparkSession, done)
     return links
@@ -230,7 +229,7 @@ def _small_batches(spark: SparkSession) -> Iterator[None]:
     arrow = "spark.sql.execution.arrow.max"
     was = {k: spark.conf.get(arrow + k) for k in ("RecordsPerBatch", "BytesPerBatch")}
     spark.conf.set(arrow + "RecordsPerBatch", str(BATCH))
-    spark.conf.set(arrow + "BytesPerBatch", str(BATCH_BYTES))
+    bound_batches(spark)
     try:
         yield
     finally:

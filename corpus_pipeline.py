@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from lattice_pages.llm import langid, packing, pii, similar
 from lattice_pages.llm.queries import vocabulary
-from lattice_pages.session import bound_batches, materialize, ship
+from lattice_pages.session import bound_batches, materialize, release, ship
 
 #: SQL cannot express the stages (trained models, tokenizers): tests use brute force.
 ORACLE_SQL = None
@@ -20,6 +20,7 @@ ORACLE_SQL = None
 def _ready(spark: SparkSession) -> None:
     ship(spark)
     bound_batches(spark)
+    release(spark)  # a stage does not begin with what the driver kept of the one before
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -39,7 +39,7 @@ from pyspark.sql import functions as F
 
 from lattice_pages.llm import simhash
 from lattice_pages.llm.components import components
-from lattice_pages.session import bound_batches, drop_path, materialize, release, sparing
+from lattice_pages.session import BATCH_BYTES, bound_batches, drop_path, materialize, release, sparing  # noqa: F401
 
 WORDS = 5
 LEAST = Fraction(4, 5)
